@@ -32,13 +32,16 @@ def boilerplate_lines(df: DataFrame, host_col: str, text_col: str, ratio: float,
 def drop_boilerplate(df: DataFrame, host_col: str = "source", text_col: str = "text", ratio: float = 0.05, min_pages: int = 5) -> DataFrame:
     """``df`` with boilerplate lines out of the text, and ``n_lines``, ``n_dropped`` in a struct ``_lines_seen``."""
     found = cut(boilerplate_lines(df, host_col, text_col, ratio, min_pages), "boilerplate")
+    # the row travels as one struct, so that no column of it can clash with those added here
+    whole = F.struct(*[F.col(f"`{c}`") for c in df.columns])
     host = F.coalesce(F.col(host_col).cast("string"), F.lit("\x00"))
-    rows = df.withColumn("_host", host).join(found, "_host", "left")
-    lines = F.split(F.col(text_col), "\n", -1)
+    rows = df.select(whole.alias("_row"), host.alias("_host")).join(found, "_host", "left")
+    text = F.col("_row")[text_col]
+    lines = F.split(text, "\n", -1)
     common = F.coalesce(F.col("_lines"), F.array().cast("array<bigint>"))
     stays = F.filter(lines, lambda x: ~((F.trim(x) != "") & F.array_contains(common, F.xxhash64(F.trim(x)))))
     rows = rows.withColumn("_stays", F.when(F.size(common) > 0, stays).otherwise(lines))
-    seen = F.struct(F.coalesce(F.size(lines), F.lit(0)).cast("long").alias("n_lines"), F.coalesce(F.size(lines) - F.size("_stays"), F.lit(0)).cast("long").alias("n_dropped"))
-    rows = rows.withColumn("_lines_seen", F.when(F.col(text_col).isNull(), F.struct(F.lit(0).cast("long").alias("n_lines"), F.lit(0).cast("long").alias("n_dropped"))).otherwise(seen))
-    keep = [F.array_join("_stays", "\n").alias(c) if c == text_col else F.col(f"`{c}`") for c in df.columns]
-    return rows.select(*keep, "_lines_seen")
+    count = lambda c: F.coalesce(F.when(text.isNotNull(), c), F.lit(0)).cast("long")
+    seen = F.struct(count(F.size(lines)).alias("n_lines"), count(F.size(lines) - F.size("_stays")).alias("n_dropped"))
+    keep = [(F.array_join("_stays", "\n") if c == text_col else F.col("_row")[c]).alias(c) for c in df.columns]
+    return rows.select(*keep, seen.alias("_lines_seen"))

@@ -34,27 +34,46 @@ def normal(text: Column) -> Column:
     return F.trim(F.regexp_replace(F.lower(text), r"\s+", " "))
 
 
+def _let(value: Column, body) -> Column:
+    """``body(value)`` with the value worked out once a row, however often the body uses it."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
 def parse(df: DataFrame, conv_col: str = "conv_id", turn_col: str = "turn", text_col: str = "text") -> DataFrame:
     """Each message's reply text, its units and its passages (level, normalised text)."""
-    out = df.select(F.col(conv_col).alias("_conv"), F.col(turn_col).alias("_turn"), F.split(F.coalesce(F.col(text_col), F.lit("")), "\n", -1).alias("_lines"))
-    marks = F.transform("_lines", lambda x: F.length(F.regexp_replace(F.regexp_extract(x, MARKS, 0), r"[ \t]", "")))
-    out = out.withColumn("_levels", marks)
-    out = out.withColumn("_bodies", F.transform("_lines", lambda x: F.regexp_replace(x, MARKS, "")))
-    # a run ends where the level changes, and a run of reply lines also at a blank line
-    def begins(i: Column) -> Column:
-        level, was = F.get("_levels", i), F.get("_levels", i - 1)
-        blank = (level == 0) & ((F.trim(F.get("_lines", i)) == "") | (F.trim(F.get("_lines", i - 1)) == ""))
-        return (i == 0) | (level != was) | blank
-    out = out.withColumn("_starts", F.filter(F.sequence(F.lit(0), F.size("_lines") - 1), begins))
-    def run(s: Column, j: Column) -> Column:
-        end = F.coalesce(F.get("_starts", j + 1), F.size("_lines"))
-        return F.struct(F.get("_levels", s).alias("level"), normal(F.array_join(F.slice("_bodies", s + 1, end - s), "\n")).alias("text"))
-    out = out.withColumn("_runs", F.filter(F.transform("_starts", run), lambda r: r["text"] != ""))
-    reply = F.filter("_lines", lambda x, i: F.get("_levels", i) == 0)
-    out = out.withColumn("_reply", F.regexp_replace(F.array_join(reply, "\n"), r"^\s+|\s+$", ""))
-    units = F.array_union(F.transform(F.filter("_runs", lambda r: r["level"] == 0), lambda r: r["text"]), F.transform(reply, normal))
-    units = F.filter(F.array_union(units, F.array(normal(F.col("_reply")))), lambda u: u != "")
-    return out.select("_conv", "_turn", "_reply", F.transform(units, lambda u: F.xxhash64(u)).alias("_units"), F.filter("_runs", lambda r: r["level"] > 0).alias("_passages"), F.array_max("_levels").alias("_depth"))
+
+    def of_runs(lines: Column, levels: Column, starts: Column) -> Column:
+        def run(s: Column, j: Column) -> Column:
+            end = F.coalesce(F.get(starts, j + 1), F.size(lines))
+            bodies = F.transform(F.slice(lines, s + 1, end - s), lambda x: F.regexp_replace(x, MARKS, ""))
+            return F.struct(F.get(levels, s).alias("level"), normal(F.array_join(bodies, "\n")).alias("text"))
+
+        reply = F.filter(lines, lambda x, i: F.get(levels, i) == 0)
+        return F.struct(
+            F.filter(F.transform(starts, run), lambda r: r["text"] != "").alias("runs"),
+            reply.alias("lines"),
+            F.regexp_replace(F.array_join(reply, "\n"), r"^\s+|\s+$", "").alias("reply"),
+            F.array_max(levels).alias("depth"),
+        )
+
+    def of_levels(lines: Column, levels: Column) -> Column:
+        # a run ends where the level changes, and a run of reply lines also at a blank line
+        def begins(i: Column) -> Column:
+            blank = (F.get(levels, i) == 0) & ((F.trim(F.get(lines, i)) == "") | (F.trim(F.get(lines, i - 1)) == ""))
+            return (i == 0) | (F.get(levels, i) != F.get(levels, i - 1)) | blank
+
+        return _let(F.filter(F.sequence(F.lit(0), F.size(lines) - 1), begins), lambda starts: of_runs(lines, levels, starts))
+
+    def finish(p: Column) -> Column:
+        units = F.array_union(F.transform(F.filter(p["runs"], lambda r: r["level"] == 0), lambda r: r["text"]), F.transform(p["lines"], normal))
+        units = F.filter(F.array_union(units, F.array(normal(p["reply"]))), lambda u: u != "")
+        return F.struct(p["reply"].alias("reply"), F.transform(units, lambda u: F.xxhash64(u)).alias("units"), F.filter(p["runs"], lambda r: r["level"] > 0).alias("passages"), p["depth"].alias("depth"))
+
+    level = lambda x: F.length(F.regexp_replace(F.regexp_extract(x, MARKS, 0), r"[ \t]", ""))
+    lines = F.split(F.coalesce(F.col(text_col), F.lit("")), "\n", -1)
+    parsed = _let(_let(lines, lambda x: _let(F.transform(x, level), lambda levels: of_levels(x, levels))), finish)
+    out = df.select(F.col(conv_col).alias("_conv"), F.col(turn_col).alias("_turn"), parsed.alias("_p"))
+    return out.select("_conv", "_turn", F.col("_p.reply").alias("_reply"), F.col("_p.units").alias("_units"), F.col("_p.passages").alias("_passages"), F.col("_p.depth").alias("_depth"))
 
 
 def link_quotations(df: DataFrame, min_chars: int = 20, conv_col: str = "conv_id", turn_col: str = "turn", text_col: str = "text", role_col: str = "role") -> DataFrame:

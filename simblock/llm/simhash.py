@@ -4,8 +4,8 @@ Distinct fingerprints are dealt to shards by a vantage-point tree over Hamming d
 that is built from a bounded sample: an inner node sends fingerprints within its radius
 to one side, the others to the other. A fingerprint of the outer side that is within
 ``radius + bits`` is also copied to the inner side, since by the triangle inequality
-only such can link across the boundary; so each linked pair meets in exactly the shards
-where one of them is at home. In a shard, fingerprints are sorted by their distance to
+only such can link across the boundary: whichever side the partner is on, the two still
+share a side at every node, and so a shard. In a shard, fingerprints are sorted by their distance to
 a local vantage point, and only windows that the triangle bound leaves are compared.
 A shard yields a spanning forest of its links, and the forests are joined to components.
 
@@ -30,7 +30,7 @@ from ..plans.stages import cut, shuffle_partitions
 from .unionfind import Forest
 
 SAMPLE = 20_000  # fingerprints from which the tree is built
-SHARD = 2_048  # fingerprints at home in a shard, about
+SHARD = 4_096  # fingerprints at home in a shard, about
 
 
 def fingerprint(text: str | None, width: int = 4, seed: int = 42) -> int:
@@ -98,46 +98,39 @@ class VantageTree:
         self.nodes[at] = (int(v), radius, self._grow(points[d <= radius], depth - 1), self._grow(points[d > radius], depth - 1))
         return at
 
-    def deal(self, points: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(leaf, row, at home) for every shard that a point belongs or is copied to."""
+    def deal(self, points: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray]:
+        """(leaf, row) for every shard that a point belongs or is copied to."""
         out = []
-        todo = [(self.root, np.arange(len(points)), np.ones(len(points), dtype=bool))]
+        todo = [(self.root, np.arange(len(points)))]
         while todo:
-            node, rows, home = todo.pop()
+            node, rows = todo.pop()
             if not len(rows):
                 continue
             if node < 0:
-                out.append((np.full(len(rows), -1 - node), rows, home))
+                out.append((np.full(len(rows), -1 - node), rows))
                 continue
             v, radius, inner, outer = self.nodes[node]
             d = np.bitwise_count(points[rows] ^ np.uint64(v))
-            near = d <= radius + bits
-            todo.append((inner, rows[near], home[near] & (d[near] <= radius)))
-            far = d > radius
-            todo.append((outer, rows[far], home[far]))
+            todo.append((inner, rows[d <= radius + bits]))
+            todo.append((outer, rows[d > radius]))
         if not out:
             empty = np.zeros(0, dtype=np.int64)
-            return empty, empty, empty.astype(bool)
+            return empty, empty
         return tuple(np.concatenate(x) for x in zip(*out))
 
 
-def shard_links(points: np.ndarray, home: np.ndarray, bits: int) -> np.ndarray:
-    """Root (a row number) of each row in a spanning forest of the shard's links.
-
-    Copied rows are compared with rows at home only; pairs of copies meet elsewhere.
-    """
+def shard_links(points: np.ndarray, bits: int) -> np.ndarray:
+    """Root (a row number) of each row in a spanning forest of the shard's links."""
     forest = Forest(len(points))
     away = np.bitwise_count(points ^ points[0]).astype(np.int16)
     order = np.lexsort((points, away))
-    points, home, away = points[order], home[order], away[order]
-    back = np.flatnonzero(home)
-    for s in range(0, len(back), 256):
-        a = back[s : s + 256]
-        low, high = np.searchsorted(away, away[a[0]] - bits), np.searchsorted(away, away[a[-1]] + bits, side="right")
-        i, j = np.nonzero(np.bitwise_count(points[a][:, None] ^ points[None, low:high]) <= bits)
-        i, j = a[i], j + low
-        keep = (i < j) | ~home[j] & (i != j)
-        forest.link(order[i[keep]], order[j[keep]])
+    points, away = points[order], away[order]
+    for s in range(0, len(points), 256):
+        a = points[s : s + 256]
+        high = np.searchsorted(away, away[min(s + 255, len(points) - 1)] + bits, side="right")
+        i, j = np.nonzero(np.bitwise_count(a[:, None] ^ points[None, s:high]) <= bits)
+        later = i < j
+        forest.link(order[i[later] + s], order[j[later] + s])
     return forest.roots()
 
 
@@ -156,17 +149,17 @@ def near_duplicates(df: DataFrame, bits: int = 4, width: int = 4, id_col: str =
             points = b["_print"].to_numpy(dtype=np.int64)
             for s in range(0, len(points), 4096):
                 part = points[s : s + 4096]
-                leaf, row, home = tree.deal(part.view(np.uint64), bits)
-                yield pd.DataFrame({"_leaf": leaf, "_print": part[row], "_home": home})
+                leaf, row = tree.deal(part.view(np.uint64), bits)
+                yield pd.DataFrame({"_leaf": leaf, "_print": part[row]})
 
     def search(key: tuple, g: pd.DataFrame) -> pd.DataFrame:
         signed = g["_print"].to_numpy(dtype=np.int64)
-        root = shard_links(signed.view(np.uint64), g["_home"].to_numpy(dtype=bool), bits)
+        root = shard_links(signed.view(np.uint64), bits)
         tied = root != np.arange(len(g))
         return pd.DataFrame({"u": signed[tied], "v": signed[root[tied]]})
 
     spread = distinct.select("_print").repartition(shuffle_partitions(df.sparkSession), "_print")
-    dealt = spread.mapInPandas(deal, "_leaf long, _print long, _home boolean")
+    dealt = spread.mapInPandas(deal, "_leaf long, _print long")
     edges = dealt.groupBy("_leaf").applyInPandas(search, "u long, v long")
     roots = connected_components(edges)
     known = distinct.join(roots.withColumnRenamed("node", "_print"), "_print", "left").withColumn("root", F.coalesce("root", "_print"))
@@ -183,7 +176,7 @@ def keep_one_of_each(df: DataFrame, bits: int = 4, width: int = 4, id_col: str =
     Only the ids that go are joined with the rows; a row that is repeated under its id is kept once.
     """
     found = near_duplicates(df, bits, width, id_col, text_col)
-    gone = cut(found.where(F.col(id_col) != F.col("component_id")).select(F.col(id_col).alias("_gone")), "gone")
-    out = df.join(gone, F.col(id_col) == F.col("_gone"), "left_anti")
+    gone = cut(found.where(F.col(id_col) != F.col("component_id")).select(F.col(id_col).alias("_simblock_gone")), "gone")
+    out = df.join(gone, F.col(id_col) == F.col("_simblock_gone"), "left_anti")
     again = found.where(F.col(id_col) == F.col("component_id")).groupBy(id_col).count().where("count > 1").limit(1).count()
     return out.dropDuplicates([id_col]) if again else out

@@ -236,20 +236,19 @@ def test_vantage_tree_meets_every_pair():
         points = np.concatenate([points, base ^ (np.uint64(1) << rng.integers(0, 64, 300, dtype=np.uint64))])
     points = np.unique(points)
     tree = simhash.VantageTree(points, 5)
-    leaf, row, home = tree.deal(points, 4)
-    assert (np.bincount(row[home], minlength=len(points)) == 1).all()
-    up = list(range(len(points)))
+    leaf, row = tree.deal(points, 4)
+    assert (np.bincount(row, minlength=len(points)) >= 1).all()
     from simblock.llm.unionfind import Forest
 
     whole = Forest(len(points))
     for k in np.unique(leaf):
         at = row[leaf == k]
-        root = simhash.shard_links(points[at], home[leaf == k], 4)
+        root = simhash.shard_links(points[at], 4)
         whole.link(at, at[root])
     want = Forest(len(points))
     i, j = np.nonzero(np.bitwise_count(points[:, None] ^ points[None, :]) <= 4)
     want.link(i, j)
-    assert (whole.roots() == want.roots()).all() and up
+    assert (whole.roots() == want.roots()).all()
 
 
 def test_simhash_empty_and_keep(none, odd):
