@@ -1 +1,217 @@
-"""Part of simblock."""
+"""The methods that the hybrid blockers are compared with."""
+
+from __future__ import annotations
+
+import math
+
+import numpy as np
+import pandas as pd
+from pyspark.sql import DataFrame, Window
+from pyspark.sql import functions as F
+
+from ..join import conditions, unordered
+from ..plans.stages import cut
+from ..weights import Prepared
+
+
+def token_blocking(p: Prepared) -> DataFrame:
+    """All pairs that share a token. Quadratic in the longest list; for comparison only."""
+    from ..classic import overlap_counts
+
+    return overlap_counts(p).select("a_id", "b_id")
+
+
+def _valued_tokens(p: Prepared) -> tuple[DataFrame, DataFrame]:
+    """Tokens of several records whose weight in the record is above the mean of all."""
+    rows = p.a if p.dedup else p.a.unionByName(p.b)
+    common = p.vocabulary.where("df > 1").select("key")
+    mean = rows.join(common, "key").agg(F.avg("w")).first()[0] or 0.0
+    keep = lambda side: side.join(common, "key").where(F.round("w", 9) > F.lit(round(mean, 9)))
+    return keep(p.a), keep(p.b)
+
+
+def high_value_blocking(p: Prepared) -> DataFrame:
+    """Valued tokens only; pairs with fewer common ones than the mean pair are dropped."""
+    a, b = _valued_tokens(p)
+    met = a.select("key", F.col("rec_id").alias("a_id")).join(b.select("key", F.col("rec_id").alias("b_id")), "key")
+    counts = cut((met.where("a_id < b_id") if p.dedup else met).groupBy("a_id", "b_id").agg(F.count("*").alias("n")), "counts")
+    mean = counts.agg(F.avg("n")).first()[0] or 0.0
+    return counts.where(F.col("n") >= F.lit(mean)).select("a_id", "b_id")
+
+
+def high_value_blocking_pruned(p: Prepared) -> DataFrame:
+    """The same pairs; pairs of one common token go as soon as any pair is known to have two.
+
+    The mean is then above one, so only pairs of two or more are kept for the second pass,
+    while all pairs are summed up for the mean.
+    """
+    a, b = _valued_tokens(p)
+    met = a.select("key", F.col("rec_id").alias("a_id")).join(b.select("key", F.col("rec_id").alias("b_id")), "key")
+    counts = (met.where("a_id < b_id") if p.dedup else met).groupBy("a_id", "b_id").agg(F.count("*").alias("n"))
+    row = counts.agg(F.avg("n"), F.max("n")).first()
+    mean, most = row[0] or 0.0, row[1] or 0
+    return counts.where(F.col("n") >= F.lit(max(mean, 2.0) if most > 1 else 1.0)).select("a_id", "b_id")
+
+
+def choose_bands(tau: float, permutations: int = 128, least_recall: float | None = None) -> tuple[int, int]:
+    """(bands, rows) of minhash: least false positives plus negatives, or least positives at a recall."""
+    best = None
+    s = (np.arange(1000) + 0.5) / 1000
+    for rows in range(1, permutations + 1):
+        bands = permutations // rows
+        hit = 1 - (1 - s**rows) ** bands
+        false_pos, false_neg = hit[s < tau].sum() / 1000, (1 - hit)[s >= tau].sum() / 1000
+        if least_recall is None:
+            score = false_pos + false_neg
+        elif hit[s >= tau].mean() < least_recall:
+            continue
+        else:
+            score = false_pos
+        if best is None or score < best[0]:
+            best = (score, bands, rows)
+    return (best[1], best[2]) if best else (permutations, 1)
+
+
+def minhash(p: Prepared, tau: float, permutations: int = 128, bands: tuple[int, int] | None = None, seed: int = 0) -> DataFrame:
+    """Pairs that agree on all minima of some band. Signatures stay in the JVM."""
+    b, r = bands or choose_bands(tau, permutations)
+
+    def signed(side: DataFrame, name: str) -> DataFrame:
+        mins = side.groupBy(F.col("rec_id").alias(name)).agg(*[F.min(F.xxhash64("key", F.lit(seed + i))).alias(f"m{i}") for i in range(b * r)])
+        keys = F.array(*[F.xxhash64(F.lit(x), *[f"m{x * r + y}" for y in range(r)]) for x in range(b)])
+        return mins.select(name, F.explode(keys).alias("band"))
+
+    met = signed(p.a, "a_id").join(signed(p.b, "b_id"), "band")
+    return (met.where("a_id < b_id") if p.dedup else met).select("a_id", "b_id").distinct()
+
+
+def dense_top_k(a: DataFrame, b: DataFrame | None, k: int, block: int = 4096) -> DataFrame:
+    """``(a_id, b_id, sim)``: exact cosine neighbours of ``(rec_id, vector)`` frames, block by block.
+
+    Index vectors are dealt to blocks; each block meets all probe blocks and keeps k for
+    each probe, so memory is bounded by two blocks and what is shuffled by k a probe and block.
+    """
+    index = a if b is None else b
+    blocks = max(1, math.ceil(index.count() / block))
+    probe_blocks = max(1, math.ceil(a.count() / block))
+    deal = lambda df, n: F.pmod(F.xxhash64("rec_id"), F.lit(n)).cast("int")
+    left = a.select("rec_id", "vector", deal(a, probe_blocks).alias("i"), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("j"), F.lit(0).alias("side"))
+    right = index.select("rec_id", "vector", F.explode(F.sequence(F.lit(0), F.lit(probe_blocks - 1))).alias("i"), deal(index, blocks).alias("j"), F.lit(1).alias("side"))
+
+    def near(g: pd.DataFrame) -> pd.DataFrame:
+        x, y = g[g["side"] == 0], g[g["side"] == 1]
+        if not len(x) or not len(y):
+            return pd.DataFrame({"a_id": [], "b_id": [], "sim": []}).astype({"a_id": "int64", "b_id": "int64", "sim": float})
+        u, v = (np.stack(z["vector"].to_numpy()).astype(float) for z in (x, y))
+        u /= np.maximum(np.linalg.norm(u, axis=1, keepdims=True), 1e-300)
+        v /= np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-300)
+        ids = y["rec_id"].to_numpy()
+        out = []
+        for i, (row, me) in enumerate(zip(u @ v.T, x["rec_id"])):
+            if b is None:
+                row = np.where(ids == me, -2.0, row)
+            order = np.lexsort((ids, -np.round(row, 9)))[:k]
+            out += [(me, ids[o], row[o]) for o in order if row[o] > -2]
+        return pd.DataFrame(out, columns=["a_id", "b_id", "sim"])
+
+    found = left.unionByName(right).groupBy("i", "j").applyInPandas(near, "a_id long, b_id long, sim double")
+    order = Window.partitionBy("a_id").orderBy(F.round("sim", 9).desc(), "b_id")
+    return found.withColumn("n", F.row_number().over(order)).where(F.col("n") <= k).drop("n")
+
+
+def hashed_vectors(side: DataFrame, width: int = 256) -> DataFrame:
+    """Weighted tokens hashed to a signed vector of fixed width."""
+    at = F.pmod(F.xxhash64("key"), F.lit(width)).cast("int")
+    sign = F.when(F.pmod(F.xxhash64("key", F.lit(1)), F.lit(2)) == 0, 1.0).otherwise(-1.0)
+    cells = side.groupBy("rec_id", at.alias("at")).agg(F.sum(F.col("w") * sign).alias("x"))
+    m = cells.groupBy("rec_id").agg(F.map_from_entries(F.collect_list(F.struct("at", "x"))).alias("m"))
+    return m.select("rec_id", F.transform(F.sequence(F.lit(0), F.lit(width - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0.0))).alias("vector"))
+
+
+def _project(df: DataFrame, matrix: np.ndarray) -> DataFrame:
+    @F.pandas_udf("array<double>")
+    def turn(v: pd.Series) -> pd.Series:
+        return pd.Series(list(np.stack(v.to_numpy()) @ matrix)) if len(v) else pd.Series([], dtype=object)
+
+    return df.select("rec_id", turn("vector").alias("vector"))
+
+
+def dense_self(p: Prepared, k: int, width: int = 256, dims: int = 64, fit_rows: int = 5000) -> DataFrame:
+    """Stand-in for a self-supervised encoder: a linear autoencoder (principal axes of a bounded
+    sample of hashed TF-IDF vectors), then cosine neighbours."""
+    va, vb = hashed_vectors(p.a, width), None if p.dedup else hashed_vectors(p.b, width)
+    rows = va.orderBy(F.md5(F.col("rec_id").cast("string"))).limit(fit_rows).select("vector").collect()
+    x = np.array([r[0] for r in rows])
+    _, _, axes = np.linalg.svd(x.T @ x)
+    out = dense_top_k(_project(va, axes[:dims].T), None if vb is None else _project(vb, axes[:dims].T), k)
+    return unordered(out) if p.dedup else out
+
+
+def dense_matched(p: Prepared, matches: DataFrame, k: int, width: int = 256, rounds: int = 200) -> DataFrame:
+    """Stand-in for a match-trained encoder: weights of the hashed dimensions by logistic
+    regression on the agreement of matches and of as many shifted non-matches."""
+    va = hashed_vectors(p.a, width)
+    vb = va if p.dedup else hashed_vectors(p.b, width)
+    x = matches.join(va.select(F.col("rec_id").alias("a_id"), F.col("vector").alias("u")), "a_id").join(vb.select(F.col("rec_id").alias("b_id"), F.col("vector").alias("v")), "b_id").orderBy("a_id", "b_id").limit(10_000).toPandas()
+    if not len(x):
+        return dense_self(p, k, width)
+    norm = lambda m: m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300)
+    u, v = norm(np.stack(x["u"])), norm(np.stack(x["v"]))
+    feats = np.concatenate([u * v, u * np.roll(v, 1, axis=0)]) * width
+    y = np.concatenate([np.ones(len(u)), np.zeros(len(u))])
+    w, bias = np.ones(width) / width, 0.0
+    for _ in range(rounds):
+        z = 1 / (1 + np.exp(-np.clip(feats @ w + bias, -30, 30)))
+        w -= 0.1 * (feats.T @ (z - y) / len(y) + 1e-3 * w)
+        bias -= 0.1 * float((z - y).mean())
+    scale = np.diag(np.sqrt(np.maximum(w, 1e-6)))
+    out = dense_top_k(_project(va, scale), None if p.dedup else _project(vb, scale), k)
+    return unordered(out) if p.dedup else out
+
+
+def threshold_join(scored: DataFrame, tau: float, dedup: bool) -> DataFrame:
+    out = conditions(scored, tau, 0.0, None)
+    return unordered(out) if dedup else out
+
+
+# tuning on known matches ----------------------------------------------------------------------
+
+
+def confident_recall(values: list[float], confidence: float = 0.95) -> float:
+    """Lower end of the mean of validation recalls (normal approximation)."""
+    x = np.array(values)
+    z = {0.9: 1.2816, 0.95: 1.6449, 0.99: 2.3263}[confidence]
+    return float(x.mean() - z * x.std(ddof=1) / math.sqrt(len(x))) if len(x) > 1 else float(x.mean())
+
+
+def tune_threshold(sims: np.ndarray, target: float, seed: int = 1) -> tuple[float, float]:
+    """(tau, margin): the quantile of match similarities, lowered until left-out recall is confident."""
+    if len(sims) < 3:
+        return 0.0, 1.0
+    folds = np.random.default_rng(seed).permutation(len(sims)) % 3
+    margin = 0.0
+    while margin < 1:
+        seen = []
+        for f in range(3):
+            tau = float(np.quantile(sims[folds != f], 1 - target, method="lower")) * (1 - margin)
+            seen.append(float((sims[folds == f] >= tau - 1e-9).mean()))
+        if confident_recall(seen) >= target:
+            break
+        margin = margin * 2 if margin else 0.01
+    return float(np.quantile(sims, 1 - target, method="lower")) * max(0.0, 1 - margin), min(margin, 1.0)
+
+
+def tune_k(ranks: np.ndarray, target: float) -> int | None:
+    """The least k whose recall over the matches' ranks reaches the target (None: none does)."""
+    good = np.sort(ranks[np.isfinite(ranks)])
+    need = math.ceil(target * len(ranks) - 1e-9)
+    return int(good[need - 1]) if 0 < need <= len(good) else None
+
+
+def global_default(curves: dict[str, list[tuple[float, float]]], target: float) -> float | None:
+    """The most aggressive parameter that reaches the target on every workload.
+
+    ``curves`` has (parameter, recall) by workload, parameters from the most aggressive on.
+    """
+    grid = [x for x, _ in next(iter(curves.values()))]
+    return next((g for g in grid if all(dict(c)[g] >= target for c in curves.values())), None)
