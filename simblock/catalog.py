@@ -1,10 +1,12 @@
-"""The registered queries and their SQL (filled by the modules of this package)."""
+"""All registered queries of the library and their SQL."""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLE_SQL: dict[str, str] = {}
+from .operators import relational
+from .queries import ORACLE_SQL as _methods_sql
+from .queries import QUERIES as _methods
+from .queries import flagship  # noqa: F401
+from .streaming import queries as streams
 
-
-def flagship(spark, sf_dir: str):
-    raise NotImplementedError
+QUERIES = {**_methods, **relational.QUERIES, **streams.QUERIES}
+ORACLE_SQL = {**_methods_sql, **relational.ORACLE_SQL, **streams.ORACLE_SQL}

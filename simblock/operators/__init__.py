@@ -1 +1 @@
-"""Part of simblock."""
+"""Relational operators around the blocking methods."""
