@@ -14,7 +14,7 @@ from itertools import chain
 
 import numpy as np
 
-CACHE = 1_200_000  # chunks in a worker's cache
+CACHE = 500_000  # chunks in a worker's cache
 BLOCK = 300_000  # chunks that are looked up together
 STOP = re.compile(rb"[.,](?<=[a-z0-9].)(?=[ \t-\r]|$)")
 _encoders: dict[str, "ChunkEncoder"] = {}
