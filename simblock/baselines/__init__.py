@@ -91,7 +91,8 @@ def dense_top_k(a: DataFrame, b: DataFrame | None, k: int, block: int = 4096) ->
     Index vectors are dealt to blocks; each block meets all probe blocks and keeps k for
     each probe, so memory is bounded by two blocks and what is shuffled by k a probe and block.
     """
-    index = a if b is None else b
+    dedup = b is None
+    index = a if dedup else b
     blocks = max(1, math.ceil(index.count() / block))
     probe_blocks = max(1, math.ceil(a.count() / block))
     deal = lambda df, n: F.pmod(F.xxhash64("rec_id"), F.lit(n)).cast("int")
@@ -108,7 +109,7 @@ def dense_top_k(a: DataFrame, b: DataFrame | None, k: int, block: int = 4096) ->
         ids = y["rec_id"].to_numpy()
         out = []
         for i, (row, me) in enumerate(zip(u @ v.T, x["rec_id"])):
-            if b is None:
+            if dedup:
                 row = np.where(ids == me, -2.0, row)
             order = np.lexsort((ids, -np.round(row, 9)))[:k]
             out += [(me, ids[o], row[o]) for o in order if row[o] > -2]

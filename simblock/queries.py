@@ -210,9 +210,9 @@ def _counts_sql(measure: str, tau: float) -> str:
     size = {"jaccard": f"b.total >= {tau} * a.total - 1e-9 AND b.total <= a.total / {tau} + 1e-9", "cosine": "b.total >= -1e-9"}[measure]
     pos = {"jaccard": f"least(a.suf, b.suf) >= {tau / (1 + tau)} * (a.total + b.total) - 1e-9", "cosine": f"a.suf * b.suf >= {tau * tau} - 1e-9"}[measure]
     return f"""WITH {S.sets(S.DOCS, None, 'word', 'binary', measure)}, r AS (SELECT * FROM ({S.running(measure)}) w WHERE suf >= {sig}),
- m AS (SELECT {size} AS size, {low} AS suffix, {pos} AS positional FROM r a JOIN r b ON a.token = b.token AND a.rec_id <> b.rec_id)
+ m AS (SELECT {size} AS size, {low} AS suffix, {pos} AS by_position FROM r a JOIN r b ON a.token = b.token AND a.rec_id <> b.rec_id)
  SELECT 'prefix' AS filters, count(*) AS entries FROM m UNION ALL SELECT 'size', count(*) FROM m WHERE size UNION ALL SELECT 'suffix', count(*) FROM m WHERE suffix
- UNION ALL SELECT 'positional', count(*) FROM m WHERE positional UNION ALL SELECT 'all', count(*) FROM m WHERE size AND suffix AND positional"""
+ UNION ALL SELECT 'positional', count(*) FROM m WHERE by_position UNION ALL SELECT 'all', count(*) FROM m WHERE size AND suffix AND by_position"""
 
 
 query("filter_ablation_jaccard", _counts_sql("jaccard", 0.5))(lambda spark, sf: classic.filter_counts(prepared(spark, sf, W.docs, None, weighting="binary"), 0.5))

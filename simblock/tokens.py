@@ -16,9 +16,12 @@ def words(text: Column) -> Column:
 def ngrams(text: Column, n: int = 3) -> Column:
     """Substrings of n code points after white space is squeezed; a shorter string gives itself."""
     clean = F.trim(F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), r"\s+", " "))
-    size = F.length(clean)
-    many = F.transform(F.sequence(F.lit(1), F.greatest(size - (n - 1), F.lit(1))), lambda i: F.substring(clean, i, F.lit(n)))
-    return F.when(size == 0, F.array().cast("array<string>")).when(size <= n, F.array(clean)).otherwise(many)
+    # lambda variables hold the characters, which would else be worked out anew for each n-gram
+    grams = F.transform(
+        F.array(F.split(clean, "")),
+        lambda c: F.when(F.size(c) <= n, F.array(F.array_join(c, ""))).otherwise(F.transform(F.sequence(F.lit(1), F.greatest(F.size(c) - (n - 1), F.lit(1))), lambda i: F.concat(*[F.element_at(c, i + j) for j in range(n)]))),
+    )
+    return F.when(clean == "", F.array().cast("array<string>")).otherwise(grams[0])
 
 
 TOKENIZERS = {"word": words, "trigram": ngrams}
