@@ -116,16 +116,20 @@ def interval_join(spark, sf):
 
 @stream("late_drop", "SELECT CAST(0 AS BIGINT) AS late")
 def late_drop(spark, sf):
-    """Rows older than the watermark are left out: a very old row in a later batch adds no window."""
+    """Rows older than the watermark are left out: a very old row in a later batch adds no window.
+
+    Late rows are judged by the watermark of the batch before, so the old row comes two batches
+    after the one that moved it.
+    """
     from ..plans.stages import fresh_path
 
     path = fresh_path(spark, "late")
-    for i, when in enumerate(("2020-01-01 00:00:00", "2020-02-01 00:00:00", "2020-01-01 00:10:00", "2020-03-01 00:00:00")):
+    for i, when in enumerate(("2020-01-01 00:00:00", "2020-02-01 00:00:00", "2020-02-02 00:00:00", "2020-01-01 00:10:00", "2020-03-01 00:00:00")):
         spark.createDataFrame([(when, i)], "ts string, n int").select(F.to_timestamp("ts").alias("ts"), "n").coalesce(1).write.mode("append").parquet(path)
         time.sleep(1.1)
     s = spark.readStream.schema("ts timestamp, n int").option("maxFilesPerTrigger", 1).parquet(path).withWatermark("ts", "1 hour")
     got = drain(s.groupBy(F.window("ts", "1 hour")).agg(F.max("n").alias("n")))
-    return got.agg(F.count_if(F.col("n") == 2).alias("late"))
+    return got.agg(F.count_if(F.col("n") == 3).alias("late"))
 
 
 @stream("running_topk", "SELECT user_id, round(sum(value), 4) AS top3 FROM (SELECT user_id, value, row_number() OVER (PARTITION BY user_id ORDER BY value DESC) AS n FROM events) WHERE n <= 3 GROUP BY user_id")

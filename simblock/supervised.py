@@ -129,7 +129,8 @@ def block(a: DataFrame, b: DataFrame | None, matches: DataFrame, objective, spac
     if dedup:  # a pair may be found from either record
         turned = matches.select(F.col("b_id").alias("a_id"), F.col("a_id").alias("b_id"))
         matches = matches.select("a_id", "b_id").union(turned).distinct()
-    forward = [prepare(a, b, m, s) for m, s in space]
+    shared: dict = {}
+    forward = [prepare(a, b, m, s, shared) for m, s in space]
     sides = []
     for direction in range(1 if dedup else 2):
         ps = forward if direction == 0 else [p.flipped() for p in forward]

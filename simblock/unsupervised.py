@@ -88,7 +88,8 @@ def block(a: DataFrame, b: DataFrame | None, k: int = 10, q: float = 1.0, space:
     space = space or SPACE
     if any(m.tokenizer == "trigram" for m, _ in space) and not allow_ngrams(a, *([] if dedup else [b])):
         space = [(m, s) for m, s in space if m.tokenizer != "trigram"]
-    forward = {(m, s): prepare(a, b, m, s) for m, s in space}
+    shared: dict = {}
+    forward = {(m, s): prepare(a, b, m, s, shared) for m, s in space}
     found = []
     if dedup:
         choice, p = balanced(forward, k, q, sample, "dedup")

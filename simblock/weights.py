@@ -77,16 +77,23 @@ class Prepared:
         return Prepared(self.b, self.a, self.vocabulary, self.n_b, self.n_a, self.measure, self.dedup)
 
 
-def prepare(a: DataFrame, b: DataFrame | None, model: TokenModel, measure: str) -> Prepared:
-    """Token sets of ``a(rec_id, text)`` and ``b`` (None: deduplicate ``a``), in the shared folder."""
+def prepare(a: DataFrame, b: DataFrame | None, model: TokenModel, measure: str, shared: dict | None = None) -> Prepared:
+    """Token sets of ``a(rec_id, text)`` and ``b`` (None: deduplicate ``a``), in the shared folder.
+
+    ``shared`` is kept by a caller that prepares the same two collections several times:
+    terms, dictionaries and equal sets are then worked out once.
+    """
+    shared = {} if shared is None else shared
     dedup = b is None
-    n_a = a.count()
-    n_b = n_a if dedup else b.count()
-    ta = term_counts(a, model.tokenizer)
-    tb = ta if dedup else term_counts(b, model.tokenizer)
-    ta = cut(ta, "terms")
-    tb = ta if dedup else cut(tb, "terms")
-    vocabulary = dictionary(ta if dedup else ta.select("token").unionAll(tb.select("token")))
+    if "sizes" not in shared:
+        n_a = a.count()
+        shared["sizes"] = (n_a, n_a if dedup else b.count())
+    n_a, n_b = shared["sizes"]
+    if model.tokenizer not in shared:
+        ta = cut(term_counts(a, model.tokenizer), "terms")
+        tb = ta if dedup else cut(term_counts(b, model.tokenizer), "terms")
+        shared[model.tokenizer] = (ta, tb, dictionary(ta if dedup else ta.select("token").unionAll(tb.select("token"))))
+    ta, tb, vocabulary = shared[model.tokenizer]
     total = n_a if dedup else n_a + n_b
 
     def finish(t: DataFrame) -> DataFrame:
@@ -95,5 +102,8 @@ def prepare(a: DataFrame, b: DataFrame | None, model: TokenModel, measure: str)
             sets = unit_norm(sets)
         return cut(running(sets, 2 if measure == "cosine" else 1), "sets")
 
-    fa = finish(ta)
-    return Prepared(fa, fa if dedup else finish(tb), vocabulary, n_a, n_b, measure, dedup)
+    kind = (model, measure == "cosine")
+    if kind not in shared:
+        fa = finish(ta)
+        shared[kind] = (fa, fa if dedup else finish(tb))
+    return Prepared(*shared[kind], vocabulary, n_a, n_b, measure, dedup)

@@ -23,3 +23,55 @@ def test_tune_k():
     import numpy as np
 
     assert tune_k(np.array([1, 1, 2, 9, np.inf]), 0.8) == 9
+
+
+def test_ngrams_count_code_points(spark):
+    from simblock.tokens import ngrams
+
+    texts = [None, "", " ", "a", "ABC", "a  b\tC d", "zß😀日本語", "x" * 50_000]
+    rows = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "rec_id int, text string")
+    got = dict(rows.select("rec_id", ngrams(rows.text)).collect())
+    for i, t in enumerate(texts):
+        c = " ".join((t or "").lower().split())
+        want = [] if not c else [c] if len(c) <= 3 else [c[j : j + 3] for j in range(len(c) - 2)]
+        assert got[i] == want
+
+
+def test_shared_preparation_changes_nothing(spark):
+    from simblock.weights import TokenModel, prepare
+
+    a = spark.createDataFrame([(1, "red blue blue"), (2, "green red"), (3, None)], "rec_id long, text string")
+    b = spark.createDataFrame([(7, "blue sky"), (8, "")], "rec_id long, text string")
+    shared = {}
+    for measure in ("jaccard", "cosine", "overlap"):
+        one, two = prepare(a, b, TokenModel(), measure, shared), prepare(a, b, TokenModel(), measure)
+        for x, y in ((one.a, two.a), (one.b, two.b)):
+            assert sorted(x.drop("key").collect()) == sorted(y.drop("key").collect())
+        assert (one.n_a, one.n_b, one.measure) == (3, 2, measure)
+
+
+def test_dense_neighbours_against_brute_force(spark):
+    import numpy as np
+
+    from simblock.baselines import dense_top_k
+
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(60, 8))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "rec_id long, vector array<double>")
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    sims = np.round(unit @ unit.T, 9)
+    np.fill_diagonal(sims, -2)
+    want = {(i, int(j)) for i in range(60) for j in np.lexsort((np.arange(60), -sims[i]))[:3]}
+    assert {(r.a_id, r.b_id) for r in dense_top_k(df, None, 3, block=25).collect()} == want
+
+
+def test_hybrid_join_equals_conditions_over_all_pairs(spark, sf):
+    from simblock import workloads as W
+    from simblock.classic import naive_hybrid
+    from simblock.join import hybrid_join
+    from simblock.weights import TokenModel, prepare
+
+    for model, measure in ((TokenModel("word", "tfidf"), "cosine"), (TokenModel("trigram", "binary"), "dice")):
+        p = prepare(W.items(spark, sf), W.docs(spark, sf), model, measure)
+        pairs = [{(r.a_id, r.b_id) for r in f(p, 0.02, 0.6, 3).collect()} for f in (hybrid_join, naive_hybrid)]
+        assert pairs[0] == pairs[1] and pairs[0]
