@@ -63,6 +63,9 @@ def test_dense_neighbours_against_brute_force(spark):
     np.fill_diagonal(sims, -2)
     want = {(i, int(j)) for i in range(60) for j in np.lexsort((np.arange(60), -sims[i]))[:3]}
     assert {(r.a_id, r.b_id) for r in dense_top_k(df, None, 3, block=25).collect()} == want
+    left, right = df.where("rec_id < 20"), df.where("rec_id >= 20")
+    want = {(i, 20 + int(j)) for i in range(20) for j in np.lexsort((np.arange(40), -sims[i, 20:]))[:3]}
+    assert {(r.a_id, r.b_id) for r in dense_top_k(left, right, 3, block=25).collect()} == want
 
 
 def test_hybrid_join_equals_conditions_over_all_pairs(spark, sf):
