@@ -58,21 +58,46 @@ def admissible(m: Measure, filters: frozenset, t: Column) -> Column:
     return out
 
 
-def pre_candidates(probe: DataFrame, index: DataFrame, m: Measure, filters: frozenset, dedup: bool) -> DataFrame:
-    """Entries of both prefixes that meet on a token; ``probe`` has its threshold in ``t``."""
+def pre_candidates(probe: DataFrame, index: DataFrame, m: Measure, filters: frozenset, dedup: bool, low: float = 0.0, half: bool = False) -> DataFrame:
+    """Entries of both prefixes that meet on a token; ``probe`` has its threshold in ``t``.
+
+    No threshold is below ``low``, by which the index is cut before it is shuffled. With
+    ``half`` a pair of a deduplication is met from its smaller id only.
+    """
     if "prefix" in filters:
+        index = index.where(F.col("suf") >= m.sigma(F.col("total"), F.lit(float(low))))
         probe = probe.where(F.col("suf") >= m.sigma(F.col("total"), F.col("t")))
         # the index side's own prefix at the probe's threshold
         own = F.col("s_b") >= m.sigma(F.col("t_b"), F.col("t"))
     else:
         own = F.lit(True)
     joined = probe.join(_posting(index), "key").where(own & admissible(m, filters, F.col("t")))
-    return joined.where("rec_id <> b_id") if dedup else joined
+    return joined.where("rec_id < b_id" if half else "rec_id <> b_id") if dedup else joined
+
+
+def candidates(pre: DataFrame, m: Measure) -> DataFrame:
+    """``(a_id, b_id, i, total, t_b, t)``: pairs that may still reach ``t``, with what they are known to share.
 
+    Each filter fails for good once it fails on a pair's shared tokens in their order, so the entries
+    that are left are the pair's first shared tokens. Behind the last of them no more is
+    shared than both records have left, which are the least remainders seen. Sums and minima are
+    combined before the shuffle, and no token list travels for a pair that falls here.
+    """
+    square = (lambda w: w * w) if m.power == 2 else (lambda w: w)
+    met = pre.groupBy(F.col("rec_id").alias("a_id"), "b_id").agg(
+        F.sum(m.shared(F.col("w"), F.col("w_b"))).alias("i"),
+        F.min(F.col("suf") - square(F.col("w"))).alias("_a"),
+        F.min(F.col("s_b") - square(F.col("w_b"))).alias("_b"),
+        *[F.max(c).alias(c) for c in ("total", "t_b", "t")],
+    )
+    left_a, left_b = F.greatest("_a", F.lit(0.0)), F.greatest("_b", F.lit(0.0))
+    rest = F.sqrt(left_a * left_b) if m.power == 2 else F.least(left_a, left_b)
+    return met.where(m.value(F.col("i") + rest, F.col("total"), F.col("t_b")) >= F.col("t") - 1e-8).drop("_a", "_b")
 
-def first_common(pre: DataFrame) -> DataFrame:
-    """Each pair once."""
-    return pre.select(F.col("rec_id").alias("a_id"), "b_id").distinct()
+
+def known(pairs: DataFrame, m: Measure) -> DataFrame:
+    """``(a_id, b_id, sim)`` of candidates at threshold 0, whose shared tokens have all been met."""
+    return pairs.select("a_id", "b_id", m.value(F.col("i"), F.col("total"), F.col("t_b")).alias("sim"))
 
 
 def _kernel(measure: str):
@@ -93,7 +118,8 @@ def _kernel(measure: str):
             i = 2 * i / (a + b)
         return pd.Series(i)
 
-    return F.pandas_udf(similarity, "double")
+    # else a filter on the similarity is moved below it and has it worked out twice
+    return F.pandas_udf(similarity, "double").asNondeterministic()
 
 
 def arrays(side: DataFrame, prefix: str) -> DataFrame:
@@ -126,7 +152,10 @@ def unordered(pairs: DataFrame) -> DataFrame:
 
 
 def directed_join(p: Prepared, cfg: JoinConfig) -> DataFrame:
-    """``(a_id, b_id, sim)`` of one direction (no self pairs in deduplication)."""
+    """``(a_id, b_id, sim)`` of one direction (no self pairs in deduplication).
+
+    A deduplication by threshold only is symmetric and gives each pair from its smaller id.
+    """
     if cfg.k == 0 or cfg.rho == 0:
         return p.a.select(F.col("rec_id").alias("a_id"), F.col("rec_id").alias("b_id"), F.lit(0.0).alias("sim")).where("false")
     if cfg.rho is not None:
@@ -144,7 +173,15 @@ def directed_join(p: Prepared, cfg: JoinConfig) -> DataFrame:
     done = []
     for n in range(len(levels) + 1):
         probe = p.a.join(probes.select(F.col("a_id").alias("rec_id"), "t"), "rec_id")
-        found = verify(first_common(pre_candidates(probe, p.b, m, cfg.filters, p.dedup)), sets_a, sets_b, p.measure)
+        low = max(cfg.tau, levels[n] if n < len(levels) and m.bounded else 0.0)
+        pairs = candidates(pre_candidates(probe, p.b, m, cfg.filters, p.dedup, low, not raised), m)
+        if low > 0:
+            found = verify(pairs.select("a_id", "b_id"), sets_a, sets_b, p.measure)
+        elif cfg.tau_r == 0 and n == len(levels):
+            found = known(pairs, m)
+        else:
+            pairs = cut(pairs, "candidates")
+            found = known(pairs.where("t <= 0"), m).unionByName(verify(pairs.where("t > 0").select("a_id", "b_id"), sets_a, sets_b, p.measure))
         if not levels:
             return conditions(found, cfg.tau, cfg.tau_r, cfg.k)
         found = cut(found.join(probes, "a_id").where(F.col("sim") >= F.col("t") - 1e-9), "round")

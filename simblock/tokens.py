@@ -36,6 +36,6 @@ def allow_ngrams(*frames: DataFrame, limit: int = NGRAM_LIMIT) -> bool:
 
 
 def term_counts(records: DataFrame, tokenizer: str = "word") -> DataFrame:
-    """``(rec_id, token, tf)``."""
-    exploded = records.select("rec_id", F.explode(TOKENIZERS[tokenizer](F.col("text"))).alias("token"))
+    """``(rec_id, token, tf)``; texts are dealt by record, which is less to move than their tokens."""
+    exploded = records.select("rec_id", "text").repartition("rec_id").select("rec_id", F.explode(TOKENIZERS[tokenizer](F.col("text"))).alias("token"))
     return exploded.groupBy("rec_id", "token").agg(F.count("*").alias("tf"))

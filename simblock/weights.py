@@ -39,15 +39,16 @@ def unit_norm(sets: DataFrame) -> DataFrame:
 def running(sets: DataFrame, power: int = 1) -> DataFrame:
     """Add position, prefix and suffix sums and the total of ``w ** power``, by record.
 
-    A record's tokens are few next to a partition, so the window is by record.
+    A record's tokens are few next to a partition, so the window is by record. Suffixes are what
+    prefixes leave of the total, as a frame that ends with the record would take quadratic time.
     """
     order = Window.partitionBy("rec_id").orderBy("key")
     x = F.col("w") if power == 1 else F.col("w") * F.col("w")
     out = sets.withColumn("_x", x)
     out = out.withColumn("pos", F.row_number().over(order))
     out = out.withColumn("pre", F.coalesce(F.sum("_x").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0)))
-    out = out.withColumn("suf", F.sum("_x").over(order.rowsBetween(0, Window.unboundedFollowing)))
     out = out.withColumn("total", F.sum("_x").over(Window.partitionBy("rec_id")))
+    out = out.withColumn("suf", F.greatest(F.col("total") - F.col("pre"), "_x"))
     return out.drop("_x")
 
 
