@@ -78,3 +78,16 @@ def test_hybrid_join_equals_conditions_over_all_pairs(spark, sf):
         p = prepare(W.items(spark, sf), W.docs(spark, sf), model, measure)
         pairs = [{(r.a_id, r.b_id) for r in f(p, 0.02, 0.6, 3).collect()} for f in (hybrid_join, naive_hybrid)]
         assert pairs[0] == pairs[1] and pairs[0]
+
+
+def test_candidate_bound_loses_no_pair(spark, sf):
+    from simblock import workloads as W
+    from simblock.classic import naive_hybrid
+    from simblock.join import hybrid_join
+    from simblock.weights import TokenModel, prepare
+
+    dedup = prepare(W.docs(spark, sf), None, TokenModel("word", "tfidf"), "jaccard")
+    cross = prepare(W.items(spark, sf), W.docs(spark, sf), TokenModel("word", "tfidf"), "overlap")
+    for p, options in ((dedup, {"tau": 0.3}), (cross, {"k": 4}), (cross, {"tau_r": 0.7})):
+        got, want = ({(r.a_id, r.b_id): round(r.sim, 6) for r in f(p, **options).collect()} for f in (hybrid_join, naive_hybrid))
+        assert got == want and want
