@@ -1,16 +1,16 @@
 """Toxicity by nearest labelled examples under TF-IDF cosine, with block-max inverted lists.
 
-Fitting takes a bounded sample of labelled rows (``FIT_ROWS``). Terms are those whose
-document frequencies differ most between the two labels (chi-square over the sample's
-distinct texts); their inverse document frequencies come from all rows. The sample's
-rows with any such term are the examples. Their postings are cut into blocks of
+Fitting takes a bounded sample of labelled rows (``FIT_ROWS``). All of them, of either label,
+are examples, and all their words are terms, with inverse document frequencies from all rows. Examples
+are ordered so that similar ones lie together; their postings are cut into blocks of
 example numbers, with the largest weight of each block kept aside. A query visits
 blocks by falling upper bound and stops when no block can still change its k nearest, so
 the result is that of an exhaustive search. Votes are weighted by similarity and shrunk
 to the sample's rate, then calibrated by isotonic regression on left-out votes.
 
-Defined results: a null, empty or term-less text gets the rate of the sample's term-less
-rows; without labelled rows the score is 0; repeated label rows of a document count as
+Defined results: a word that no example has counts in the norm of a text, with the weight of
+a word of one row; a null, empty or wordless text gets the rate of the sample's wordless
+rows, shrunk to the sample's; without labelled rows the score is 0; repeated label rows of a document count as
 toxic if any is; unlabelled and null labels are never learned from; repeated rows are
 scored one by one; an empty table gives an empty result; other columns are ignored.
 """
@@ -25,12 +25,10 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.stages import cut
+from ..plans.stages import cut, shuffle_partitions
 
 FIT_ROWS = 20_000  # labelled rows that are learned from at most, about
-MAX_TERMS = 64
-LEAST_ROWS = 5  # texts of the sample with a term, at least
-SHARE_OF_BEST = 0.2  # of the largest chi-square
+CACHED = 10_000  # scores of distinct texts that a worker keeps
 
 
 def held_out(id_col: str, folds: int = 5) -> Column:
@@ -43,44 +41,96 @@ def words(text: str) -> list[str]:
     return re.findall(r"[^\W\d_]+", text.lower())
 
 
+def _ranges(starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """All numbers of the given ranges, one range after the other."""
+    ends = np.cumsum(lengths)
+    return np.arange(ends[-1] if len(ends) else 0) + np.repeat(starts - (ends - lengths), lengths)
+
+
 class BlockMaxIndex:
     """Inverted lists of unit vectors in blocks of ``block`` example numbers."""
 
     def __init__(self, vectors: list[dict[int, float]], terms: int, block: int = 64):
-        self.n, self.block = len(vectors), block
-        self.blocks = -(-self.n // block)
-        self.top = np.zeros((terms, max(1, self.blocks)))
-        self.lists: list[list[tuple[np.ndarray, np.ndarray]]] = []
-        by_term: list[list[tuple[int, float]]] = [[] for _ in range(terms)]
-        for i, v in enumerate(vectors):
-            for t, w in v.items():
-                by_term[t].append((i, w))
-        for t, postings in enumerate(by_term):
-            at = np.array([p[0] for p in postings], dtype=np.int64)
-            w = np.array([p[1] for p in postings])
-            bounds = np.searchsorted(at, np.arange(self.blocks + 1) * block)
-            self.lists.append([(at[a:b], w[a:b]) for a, b in zip(bounds[:-1], bounds[1:])])
-            for k, (_, x) in enumerate(self.lists[-1]):
-                self.top[t, k] = x.max() if len(x) else 0.0
+        example = np.repeat(np.arange(len(vectors)), [len(v) for v in vectors])
+        term = np.array([t for v in vectors for t in v], dtype=np.int64)
+        self._build(example, term, np.array([w for v in vectors for w in v.values()], dtype=float), len(vectors), terms, block, np.arange(len(vectors)))
+
+    @classmethod
+    def of(cls, example: np.ndarray, term: np.ndarray, weight: np.ndarray, n: int, terms: int, order: np.ndarray, block: int = 64) -> BlockMaxIndex:
+        """From postings; ``order`` lists the examples as they are to lie in blocks."""
+        out = cls.__new__(cls)
+        out._build(example, term, weight, n, terms, block, order)
+        return out
+
+    def _build(self, example, term, weight, n, terms, block, order) -> None:
+        self.n, self.block, self.blocks, self.number = n, block, max(1, -(-n // block)), order
+        place = np.empty(n, dtype=np.int64)
+        place[order] = np.arange(n)
+        at = place[example]
+        by = np.lexsort((at, term))
+        self.at, self.w, term = at[by].astype(np.int32), weight[by], term[by].astype(np.int64)
+        key = term * self.blocks + self.at // block
+        start = np.flatnonzero(np.diff(key, prepend=-1))
+        self.run_start, self.run_length = start, np.diff(start, append=len(key)).astype(np.int32)
+        self.run_block = (key[start] % self.blocks).astype(np.int32)
+        self.run_top = np.maximum.reduceat(self.w, start) if len(start) else np.zeros(0)
+        self.first = np.searchsorted(key[start] // self.blocks, np.arange(terms + 1))
 
     def nearest(self, query: dict[int, float], k: int, skip: int = -1) -> list[tuple[int, float]]:
         """The k examples of largest positive cosine, ties by number."""
-        if not query or not self.n:
+        return self.search(np.fromiter(query.keys(), np.int64, len(query)), np.fromiter(query.values(), float, len(query)), k, skip)
+
+    def search(self, terms: np.ndarray, weights: np.ndarray, k: int, skip: int = -1) -> list[tuple[int, float]]:
+        if not len(terms) or not self.n:
             return []
-        terms = list(query)
-        bound = np.array([query[t] for t in terms]) @ self.top[terms]
-        best: list[tuple[float, int]] = []
-        for b in np.argsort(-bound, kind="stable").tolist():
-            if bound[b] <= 0 or len(best) >= k and bound[b] < -best[k - 1][0] - 1e-12:
+        lengths = self.first[terms + 1] - self.first[terms]
+        runs, weight = _ranges(self.first[terms], lengths), np.repeat(weights, lengths)
+        block = self.run_block[runs]
+        bound = np.bincount(block, weight * self.run_top[runs], self.blocks)
+        order = np.argsort(-bound, kind="stable")
+        best, score = np.zeros(0, dtype=np.int64), np.zeros(0)
+        done, step = 0, 8
+        while done < len(order):
+            least = score[k - 1] - 1e-11 if len(score) >= k else 0.0
+            part = order[done : done + step]
+            part = part[(bound[part] > 0) & (bound[part] >= least)]
+            if not len(part):
                 break
-            score = np.zeros(self.block)
-            for t in terms:
-                at, w = self.lists[t][b]
-                score[at - b * self.block] += query[t] * w
-            found = np.flatnonzero(score > 0)
-            best += [(-round(float(score[i]), 12), i + b * self.block) for i in found.tolist() if i + b * self.block != skip]
-            best = sorted(best)[:k]
-        return [(i, -s) for s, i in best]
+            chosen = np.zeros(self.blocks, dtype=bool)
+            chosen[part] = True
+            mine = np.flatnonzero(chosen[block])
+            many = self.run_length[runs[mine]]
+            postings = _ranges(self.run_start[runs[mine]], many)
+            found = np.bincount(self.at[postings], np.repeat(weight[mine], many) * self.w[postings], self.n)
+            if len(score) < k and np.count_nonzero(found) > k:
+                least = max(least, np.partition(found, -k - 1)[-k - 1] - 1e-11)  # one more for an example to skip
+            hit = np.flatnonzero((found > 0) & (found >= least))
+            best = np.concatenate([best, self.number[hit]])
+            score = np.concatenate([score, np.round(found[hit], 12)])
+            best, score = best[(best != skip) & (score > 0)], score[(best != skip) & (score > 0)]
+            top = np.lexsort((best, -score))[:k]
+            best, score = best[top], score[top]
+            done, step = done + step, step * 2
+        return list(zip(best.tolist(), score.tolist()))
+
+
+def in_blocks(points: np.ndarray, block: int = 64, seed: int = 5) -> np.ndarray:
+    """Row numbers ordered so that similar rows lie together: halved along the widest direction, again and again."""
+    rng, out, todo = np.random.default_rng(seed), [], [np.arange(len(points))]
+    while todo:
+        rows = todo.pop()
+        if len(rows) <= block:
+            out.append(rows)
+            continue
+        x = points[rows] - points[rows].mean(axis=0)
+        v = rng.standard_normal(x.shape[1]).astype(x.dtype)
+        for _ in range(8):
+            v = x.T @ (x @ v)
+            v /= max(float(np.linalg.norm(v)), 1e-30)
+        rows = rows[np.argsort(x @ v, kind="stable")]
+        half = -(-len(rows) // (2 * block)) * block
+        todo += [rows[half:], rows[:half]]
+    return np.concatenate(out) if out else np.zeros(0, dtype=np.int64)
 
 
 def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -99,39 +149,105 @@ def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.array([s[0] for s in steps]), np.array([(s[1] + 0.5) / (s[2] + 1) for s in steps])
 
 
+def word_counts(text: str | None) -> dict[str, int]:
+    from collections import Counter
+
+    return Counter(words(text or ""))
+
+
+class Terms:
+    """The words of all examples, numbered; sent as one string and looked up in a dict that each worker builds."""
+
+    def __init__(self, names: list[str]):
+        self.joined, self._number = " ".join(names), None
+
+    @property
+    def number(self) -> dict[str, int]:
+        if self._number is None:
+            self._number = {w: i for i, w in enumerate(self.joined.split())}
+        return self._number
+
+    def __getstate__(self):
+        return {"joined": self.joined, "_number": None}
+
+
 class Scorer:
-    """What is learned: terms with weights, examples, their index and the calibration."""
-
-    def __init__(self, terms: list[str], idf: np.ndarray, rows: list[tuple[int, list[int], list[int], int]], rate: float, bare_rate: float, k: int):
-        self.terms, self.idf, self.k, self.rate, self.bare_rate = terms, idf, k, rate, bare_rate
-        self.examples = [(i, y) for i, _, _, y in rows]
-        vectors = [self.unit(t, n) for _, t, n, _ in rows]
-        self.index = BlockMaxIndex(vectors, len(terms))
-        left_out = np.array([self.vote(self.index.nearest(v, k, skip=i)) for i, v in enumerate(vectors)])
-        labels = np.array([y for _, y in self.examples], dtype=float)
-        self.ends, self.means = isotonic(left_out, labels) if len(labels) >= 50 else (np.array([]), np.array([]))
-        self.cache: dict[tuple, tuple[float, list]] = {}
-
-    def unit(self, terms: list[int], counts: list[int]) -> dict[int, float]:
-        w = {t: (1 + math.log(n)) * float(self.idf[t]) for t, n in zip(terms, counts)}
-        norm = math.sqrt(sum(x * x for x in w.values()))
-        return {t: x / norm for t, x in w.items()} if norm > 0 else {}
+    """What is learned: terms with weights, all examples, their index and the calibration."""
+
+    def __init__(self, terms: Terms, idf: np.ndarray, unseen: float, ids: list, labels: np.ndarray, starts: np.ndarray, term: np.ndarray, count: np.ndarray, rate: float, bare_rate: float, k: int):
+        self.terms, self.idf, self.unseen, self.k, self.rate, self.bare_rate = terms, idf, unseen, k, rate, bare_rate
+        self.ids, self.labels, self.starts, self.term, self.count = ids, labels, starts, term, count
+        self.ends, self.means = np.zeros(0), np.zeros(0)
+        self.order, self._index, self.cache = np.arange(len(ids)), None, {}
+        self.order = in_blocks(self._common())
+
+    def __getstate__(self):
+        return {**self.__dict__, "_index": None, "cache": {}}
+
+    def _weights(self) -> tuple[np.ndarray, np.ndarray]:
+        """Example and weight of each posting; vectors have length 1."""
+        n = len(self.ids)
+        example = np.repeat(np.arange(n), np.diff(self.starts))
+        w = (1 + np.log(self.count)) * self.idf[self.term]
+        norm = np.sqrt(np.bincount(example, w * w, n))
+        return example, w / norm[example]
+
+    def _common(self, width: int = 256) -> np.ndarray:
+        """Weights of the most frequent terms only, by which examples are ordered (it changes no result)."""
+        example, w = self._weights()
+        often = np.argsort(-np.bincount(self.term, minlength=len(self.idf)), kind="stable")[:width]
+        column = np.full(len(self.idf), -1)
+        column[often] = np.arange(len(often))
+        out = np.zeros((len(self.ids), max(1, len(often))), dtype=np.float32)
+        at = column[self.term]
+        out[example[at >= 0], at[at >= 0]] = w[at >= 0]
+        return out
+
+    @property
+    def index(self) -> BlockMaxIndex:
+        if self._index is None:
+            example, w = self._weights()
+            self._index = BlockMaxIndex.of(example, self.term, w, len(self.ids), len(self.idf), self.order)
+        return self._index
+
+    def unit(self, counts: dict[str, int]) -> tuple[np.ndarray, np.ndarray]:
+        """Terms and weights of a text; the norm is over all its words, also those of no example."""
+        number = self.terms.number
+        at = np.array([number.get(w, -1) for w in counts], dtype=np.int64)
+        n = 1 + np.log(np.fromiter(counts.values(), float, len(counts)))
+        w = n * np.where(at >= 0, self.idf[at] if len(self.idf) else 0.0, self.unseen)
+        norm = math.sqrt(float(w @ w))
+        return at[at >= 0], w[at >= 0] / norm if norm > 0 else w[at >= 0]
 
     def vote(self, near: list[tuple[int, float]]) -> float:
-        return (sum(s * self.examples[i][1] for i, s in near) + self.rate) / (sum(s for _, s in near) + 1)
+        return (sum(s * self.labels[i] for i, s in near) + self.rate) / (sum(s for _, s in near) + 1)
+
+    def left_out(self, i: int) -> float:
+        """Vote on an example by the others."""
+        mine = slice(self.starts[i], self.starts[i + 1])
+        w = (1 + np.log(self.count[mine])) * self.idf[self.term[mine]]
+        norm = np.linalg.norm(w)
+        return float(self.vote(self.index.search(self.term[mine].astype(np.int64), w / norm if norm > 0 else w, self.k, skip=i)))
+
+    def calibrate(self, votes: np.ndarray, labels: np.ndarray) -> None:
+        if len(votes) >= 50:
+            self.ends, self.means = isotonic(votes, labels.astype(float))
+
+    def score(self, text: str | None) -> tuple[float, list[tuple[int, float]]]:
+        from hashlib import blake2b
 
-    def score(self, terms: list[int], counts: list[int]) -> tuple[float, list[tuple[int, float]]]:
-        key = (*terms, -1, *counts)
+        key = blake2b((text or "").encode("utf-8", "surrogatepass"), digest_size=16).digest()
         if key not in self.cache:
-            if len(self.cache) > 100_000:
+            if len(self.cache) >= CACHED:
                 self.cache.clear()
-            near = self.index.nearest(self.unit(terms, counts), self.k)
-            if not near:
+            counts = word_counts(text)
+            near = self.index.search(*self.unit(counts), self.k) if counts else []
+            if not counts:
                 value = self.bare_rate
             elif len(self.ends):
                 value = float(self.means[min(int(np.searchsorted(self.ends, self.vote(near))), len(self.means) - 1)])
             else:
-                value = self.vote(near)
+                value = float(self.vote(near))
             self.cache[key] = (min(1.0, max(0.0, value)), near)
         return self.cache[key]
 
@@ -146,115 +262,104 @@ def _labelled_sample(docs: DataFrame, labels: DataFrame, id_col: str, text_col:
     return cut(rows.join(F.broadcast(known), "_id"), "sample")  # FIT_ROWS rows of a few bytes
 
 
-def _chosen_terms(sample: DataFrame) -> list[str]:
-    """At most MAX_TERMS terms that lean to label 1 most significantly."""
+def _frequencies(docs: DataFrame, text_col: str, terms: Terms, size: int) -> tuple[np.ndarray, int]:
+    """Of each term the number of rows that have it, over all rows, and the number of rows."""
+    sent = docs.sparkSession.sparkContext.broadcast(terms)
 
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        from collections import Counter
-
-        for b in batches:
-            for y, part in b.groupby("_toxic"):
-                seen: Counter = Counter()
-                for t in part["_text"]:
-                    seen.update(set(words(t)))
-                yield pd.DataFrame({"_term": list(seen), "_y": int(y), "_n": list(seen.values())})
-
-    texts = sample.groupBy(F.xxhash64("_text").alias("_h")).agg(F.first("_text").alias("_text"), F.max("_toxic").alias("_toxic"))
-    all_rows = texts.groupBy().agg(F.sum("_toxic"), F.count("*")).first()
-    toxic, total = all_rows[0] or 0, all_rows[1]
-    if not toxic or toxic == total:
-        return []
-    found = texts.select("_text", "_toxic").mapInPandas(count, "_term string, _y int, _n long").groupBy("_term").agg(F.sum(F.when(F.col("_y") == 1, F.col("_n")).otherwise(0)).alias("a"), F.sum("_n").alias("n"))
-    expected = F.col("n") * F.lit(toxic / total)
-    lean = found.where((F.col("n") >= LEAST_ROWS) & (F.col("a") > 2 * expected)).select("_term", (F.pow(F.col("a") - expected, 2) / expected).alias("x"))
-    best = lean.orderBy(F.desc("x"), "_term").limit(MAX_TERMS).collect()
-    return [r["_term"] for r in best if r["x"] >= SHARE_OF_BEST * best[0]["x"]]
-
-
-def chosen_counts(text: str, number: dict[str, int]) -> tuple[list[int], list[int]]:
-    """Numbers of the chosen terms in a text, rising, and how often it has each."""
-    from collections import Counter
-
-    low = text.lower()
-    if not any(x in low for x in number):
-        return [], []
-    found = sorted(Counter(number[w] for w in words(low) if w in number).items())
-    return [t for t, _ in found], [n for _, n in found]
-
-
-def _count_terms(df: DataFrame, terms: list[str], extra: list[str]) -> DataFrame:
-    """Each row's chosen terms and how often it has them; reads whole texts once."""
-    number = {t: i for i, t in enumerate(terms)}
-    types = dict(df.dtypes)
-
-    def scan(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        number, seen, rows = sent.value.number, np.zeros(size + 1, dtype=np.int64), 0
         for b in batches:
-            at, n = [], []
+            rows += len(b)
             for t in b["_text"]:
-                terms, counts = chosen_counts(t, number)
-                at.append(terms)
-                n.append(counts)
-            yield b[extra].assign(_terms=at, _counts=n)
+                seen[[number[w] for w in set(words(t)) if w in number]] += 1
+        seen[size] = rows
+        at = np.flatnonzero(seen)
+        yield pd.DataFrame({"_term": at, "_n": seen[at]})
 
-    schema = ", ".join(f"`{c}` {types[c]}" for c in extra) + ", _terms array<int>, _counts array<int>"
-    return df.mapInPandas(scan, schema)
+    texts = docs.select(F.coalesce(F.col(text_col), F.lit("")).alias("_text"))
+    found = texts.mapInPandas(count, "_term long, _n long").groupBy("_term").agg(F.sum("_n").alias("_n")).toPandas()  # the words of FIT_ROWS texts
+    sent.unpersist()
+    out = np.zeros(size + 1, dtype=np.int64)
+    out[found["_term"].to_numpy(dtype=np.int64)] = found["_n"].to_numpy(dtype=np.int64)
+    return out[:size], int(out[size])
 
 
-def fit(docs: DataFrame, labels: DataFrame, k: int = 15, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", train: Column | None = None) -> tuple[Scorer, DataFrame]:
-    """(scorer, each row's chosen terms and counts).
+def fit(docs: DataFrame, labels: DataFrame, k: int = 15, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", train: Column | None = None) -> Scorer:
+    """The scorer learned from a bounded sample of the labelled rows.
 
     ``train`` is a predicate over the label rows that may be learned from; by default
     those whose id is not in the held-out fold.
     """
+    spark = docs.sparkSession
     sample = _labelled_sample(docs, labels, id_col, text_col, label_col, ~held_out(id_col) if train is None else train)
-    terms = _chosen_terms(sample)
-    rows = docs.select(F.col(id_col).alias("_id"), F.coalesce(F.col(text_col), F.lit("")).alias("_text"))
-    counted = cut(_count_terms(rows, terms, ["_id"]), "terms")
-    frequency = {r[0]: r[1] for r in counted.select(F.explode("_terms").alias("t")).groupBy("t").agg(F.count("*")).collect()}  # MAX_TERMS rows
-    total = counted.count()
-    idf = np.array([math.log((1 + total) / (1 + frequency.get(i, 0))) + 1 for i in range(len(terms))])
-    picked = _count_terms(sample, terms, ["_id", "_toxic"]).withColumn("_h", F.xxhash64("_id")).orderBy("_h", "_id").collect()  # the bounded sample
-    rate = sum(r["_toxic"] for r in picked) / max(1, len(picked))
-    bare = [r["_toxic"] for r in picked if not r["_terms"]]
-    bare_rate = sum(bare) / max(1, len(bare))
-    return Scorer(terms, idf, [(r["_id"], r["_terms"], r["_counts"], r["_toxic"]) for r in picked if r["_terms"]], rate, bare_rate, k), counted
+
+    def scan(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for b in batches:
+            counts = [word_counts(t) for t in b["_text"]]
+            packed = [np.fromiter(c.values(), np.int32, len(c)).tobytes() for c in counts]
+            yield b.drop(columns="_text").assign(_words=[" ".join(c) for c in counts], _counts=packed)
+
+    kind = dict(sample.dtypes)["_id"]
+    hashed = sample.select("_id", "_toxic", F.xxhash64("_id").alias("_h"), F.xxhash64("_text").alias("_t"), "_text")
+    rows = hashed.mapInPandas(scan, f"_id {kind}, _toxic int, _h long, _t long, _words string, _counts binary").toPandas()  # the bounded sample
+    rows = rows.sort_values(["_h", "_t"], kind="stable")
+    rate = float(rows["_toxic"].mean()) if len(rows) else 0.0
+    bare = rows.loc[rows["_words"] == "", "_toxic"]
+    rows = rows[rows["_words"] != ""]
+    number: dict[str, int] = {}
+    parts = [np.array([number.setdefault(w, len(number)) for w in x.split(" ")], dtype=np.int32) for x in rows["_words"]]
+    starts = np.cumsum([0, *map(len, parts)])
+    term = np.concatenate(parts) if parts else np.zeros(0, dtype=np.int32)
+    count = np.frombuffer(b"".join(rows["_counts"]), dtype=np.int32)
+    terms = Terms(list(number))
+    frequency, total = _frequencies(docs, text_col, terms, len(number)) if number else (np.zeros(0), 0)
+    idf = np.log((1 + total) / (1 + frequency)) + 1
+    unseen = math.log((1 + total) / 2) + 1
+    marks = rows["_toxic"].to_numpy(dtype=np.int64)
+    scorer = Scorer(terms, idf, unseen, rows["_id"].tolist(), marks, starts, term, count, rate, (float(bare.sum()) + rate) / (len(bare) + 1), k)
+    if len(marks):
+        sent = spark.sparkContext.broadcast(scorer)
+
+        def votes(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for b in batches:
+                yield pd.DataFrame({"id": b["id"], "vote": [sent.value.left_out(int(i)) for i in b["id"]]})
+
+        left = spark.range(0, len(marks), 1, shuffle_partitions(spark)).mapInPandas(votes, "id long, vote double").toPandas().sort_values("id")
+        sent.unpersist()
+        scorer.calibrate(left["vote"].to_numpy(), marks)
+    return scorer
 
 
 def score_documents(docs: DataFrame, labels: DataFrame, k: int = 15, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic", train: Column | None = None) -> DataFrame:
     """``(id, score, evidence)``: evidence lists the nearest examples as (id, similarity, label)."""
-    scorer, counted = fit(docs, labels, k, id_col, text_col, label_col, train)
-    sent = docs.sparkSession.sparkContext.broadcast(scorer)
+    sent = docs.sparkSession.sparkContext.broadcast(fit(docs, labels, k, id_col, text_col, label_col, train))
     kind = dict(docs.dtypes)[id_col]
 
     def scan(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         s = sent.value
         for b in batches:
             score, evidence = [], []
-            for t, n in zip(b["_terms"], b["_counts"]):
-                value, near = s.score(list(map(int, t)), list(map(int, n)))
+            for t in b["_text"]:
+                value, near = s.score(t)
                 score.append(value)
-                evidence.append([{"id": s.examples[i][0], "similarity": c, "label": s.examples[i][1]} for i, c in near])
+                evidence.append([{"id": s.ids[i], "similarity": c, "label": int(s.labels[i])} for i, c in near])
             yield pd.DataFrame({id_col: b["_id"], "score": score, "evidence": evidence})
 
-    return counted.mapInPandas(scan, f"`{id_col}` {kind}, score double, evidence array<struct<id:{kind},similarity:double,label:int>>")
+    rows = docs.select(F.col(id_col).alias("_id"), F.coalesce(F.col(text_col), F.lit("")).alias("_text"))
+    return rows.mapInPandas(scan, f"`{id_col}` {kind}, score double, evidence array<struct<id:{kind},similarity:double,label:int>>")
 
 
 def keep_clean(docs: DataFrame, labels: DataFrame, threshold: float = 0.5, **options) -> DataFrame:
     """The rows that score below the threshold, with all their columns and no shuffle of texts."""
-    scorer, _ = fit(docs, labels, **options)
-    sent = docs.sparkSession.sparkContext.broadcast(scorer)
+    sent = docs.sparkSession.sparkContext.broadcast(fit(docs, labels, **options))
     at = docs.columns.index(options.get("text_col", "text"))
 
     def scan(batches):
         import pyarrow as pa
 
         s = sent.value
-        number = {t: i for i, t in enumerate(s.terms)}
         for b in batches:
-            stays = []
-            for t in b.column(at).to_pylist():
-                terms, counts = chosen_counts(t or "", number)
-                stays.append(s.score(terms, counts)[0] < threshold)
+            stays = [s.score(t)[0] < threshold for t in b.column(at).to_pylist()]
             yield b.filter(pa.array(stays, type=pa.bool_()))
 
     return docs.mapInArrow(scan, docs.schema)

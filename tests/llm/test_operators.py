@@ -390,6 +390,31 @@ def test_toxicity(spark, none):
     assert {r["score"] for r in toxicity.score_documents(docs, marks.where("false")).collect()} == {0.0}
 
 
+def test_toxicity_examples_are_all_labelled_rows(spark):
+    rng = np.random.default_rng(12)
+    bag = [f"w{''.join(chr(97 + int(c)) for c in str(i))}" for i in range(120)]
+    rows = [(i, " ".join(rng.choice(bag, 12)) + (" vile" if i % 5 == 0 else "")) for i in range(300)]
+    marks = spark.createDataFrame([(i, int(i % 5 == 0)) for i in range(200)], "doc_id long, toxic int")
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    counts = {i: toxicity.word_counts(t) for i, t in rows}
+    seen: dict = {}
+    for c in counts.values():
+        for w in c:
+            seen[w] = seen.get(w, 0) + 1
+
+    def unit(c):
+        v = {w: (1 + math.log(n)) * (math.log(301 / (1 + seen[w])) + 1) for w, n in c.items()}
+        return {w: x / math.sqrt(sum(y * y for y in v.values())) for w, x in v.items()}
+
+    vectors = {i: unit(c) for i, c in counts.items()}
+    got = toxicity.score_documents(df, marks, train=F.lit(True)).collect()
+    assert {e["label"] for r in got for e in r["evidence"]} == {0, 1}
+    for r in got[::7]:
+        q = vectors[r["doc_id"]]
+        want = sorted((sum(x * vectors[i].get(w, 0) for w, x in q.items()) for i in range(200)), reverse=True)[:15]
+        assert [e["similarity"] for e in r["evidence"]] == pytest.approx([x for x in want if x > 0], abs=1e-9)
+
+
 def test_toxicity_held_out(spark, sf):
     sf = sf.replace("0.001", "0.01")
     scored = queries.op9_toxic_neighbours(spark, sf)
