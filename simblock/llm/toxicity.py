@@ -75,6 +75,17 @@ class BlockMaxIndex:
         self.run_block = (key[start] % self.blocks).astype(np.int32)
         self.run_top = np.maximum.reduceat(self.w, start) if len(start) else np.zeros(0)
         self.first = np.searchsorted(key[start] // self.blocks, np.arange(terms + 1))
+        self.list_first = np.searchsorted(term, np.arange(terms + 1))
+
+    def _all(self, terms: np.ndarray, weights: np.ndarray) -> np.ndarray:
+        """Cosines with all examples: short lists at once, long ones each in its place."""
+        a, b = self.list_first[terms], self.list_first[terms + 1]
+        short = b - a < 512
+        postings = _ranges(a[short], (b - a)[short])
+        out = np.bincount(self.at[postings], np.repeat(weights[short], (b - a)[short]) * self.w[postings], self.n)
+        for i, j, x in zip(a[~short].tolist(), b[~short].tolist(), weights[~short].tolist()):
+            out[self.at[i:j]] += x * self.w[i:j]
+        return out
 
     def nearest(self, query: dict[int, float], k: int, skip: int = -1) -> list[tuple[int, float]]:
         """The k examples of largest positive cosine, ties by number."""
@@ -96,12 +107,19 @@ class BlockMaxIndex:
             part = part[(bound[part] > 0) & (bound[part] >= least)]
             if not len(part):
                 break
-            chosen = np.zeros(self.blocks, dtype=bool)
-            chosen[part] = True
-            mine = np.flatnonzero(chosen[block])
-            many = self.run_length[runs[mine]]
-            postings = _ranges(self.run_start[runs[mine]], many)
-            found = np.bincount(self.at[postings], np.repeat(weight[mine], many) * self.w[postings], self.n)
+            if done and np.count_nonzero(bound >= least) > self.blocks // 8:
+                # too many blocks are left for picking them to pay: whole lists, of which the visited blocks are known
+                found = self._all(terms, weights)
+                for b in order[:done].tolist():
+                    found[b * self.block : (b + 1) * self.block] = 0
+                done = len(order)
+            else:
+                chosen = np.zeros(self.blocks, dtype=bool)
+                chosen[part] = True
+                mine = np.flatnonzero(chosen[block])
+                many = self.run_length[runs[mine]]
+                postings = _ranges(self.run_start[runs[mine]], many)
+                found = np.bincount(self.at[postings], np.repeat(weight[mine], many) * self.w[postings], self.n)
             if len(score) < k and np.count_nonzero(found) > k:
                 least = max(least, np.partition(found, -k - 1)[-k - 1] - 1e-11)  # one more for an example to skip
             hit = np.flatnonzero((found > 0) & (found >= least))
@@ -178,8 +196,7 @@ class Scorer:
         self.terms, self.idf, self.unseen, self.k, self.rate, self.bare_rate = terms, idf, unseen, k, rate, bare_rate
         self.ids, self.labels, self.starts, self.term, self.count = ids, labels, starts, term, count
         self.ends, self.means = np.zeros(0), np.zeros(0)
-        self.order, self._index, self.cache = np.arange(len(ids)), None, {}
-        self.order = in_blocks(self._common())
+        self._index, self.cache = None, {}
 
     def __getstate__(self):
         return {**self.__dict__, "_index": None, "cache": {}}
@@ -207,7 +224,7 @@ class Scorer:
     def index(self) -> BlockMaxIndex:
         if self._index is None:
             example, w = self._weights()
-            self._index = BlockMaxIndex.of(example, self.term, w, len(self.ids), len(self.idf), self.order)
+            self._index = BlockMaxIndex.of(example, self.term, w, len(self.ids), len(self.idf), in_blocks(self._common()))
         return self._index
 
     def unit(self, counts: dict[str, int]) -> tuple[np.ndarray, np.ndarray]:
@@ -306,17 +323,21 @@ def fit(docs: DataFrame, labels: DataFrame, k: int = 15, id_col: str = "doc_id",
     rate = float(rows["_toxic"].mean()) if len(rows) else 0.0
     bare = rows.loc[rows["_words"] == "", "_toxic"]
     rows = rows[rows["_words"] != ""]
+    ids, marks, texts = rows["_id"].tolist(), rows["_toxic"].to_numpy(dtype=np.int64), rows["_words"].tolist()
+    count = np.frombuffer(b"".join(rows["_counts"]), dtype=np.int32)
+    del rows
     number: dict[str, int] = {}
-    parts = [np.array([number.setdefault(w, len(number)) for w in x.split(" ")], dtype=np.int32) for x in rows["_words"]]
+    parts = [np.array([number.setdefault(w, len(number)) for w in x.split(" ")], dtype=np.int32) for x in texts]
+    del texts
     starts = np.cumsum([0, *map(len, parts)])
     term = np.concatenate(parts) if parts else np.zeros(0, dtype=np.int32)
-    count = np.frombuffer(b"".join(rows["_counts"]), dtype=np.int32)
-    terms = Terms(list(number))
-    frequency, total = _frequencies(docs, text_col, terms, len(number)) if number else (np.zeros(0), 0)
+    del parts
+    terms, size = Terms(list(number)), len(number)
+    del number
+    frequency, total = _frequencies(docs, text_col, terms, size) if size else (np.zeros(0), 0)
     idf = np.log((1 + total) / (1 + frequency)) + 1
     unseen = math.log((1 + total) / 2) + 1
-    marks = rows["_toxic"].to_numpy(dtype=np.int64)
-    scorer = Scorer(terms, idf, unseen, rows["_id"].tolist(), marks, starts, term, count, rate, (float(bare.sum()) + rate) / (len(bare) + 1), k)
+    scorer = Scorer(terms, idf, unseen, ids, marks, starts, term, count, rate, (float(bare.sum()) + rate) / (len(bare) + 1), k)
     if len(marks):
         sent = spark.sparkContext.broadcast(scorer)
 
