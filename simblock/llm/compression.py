@@ -26,8 +26,9 @@ from pyspark.sql import functions as F
 class Bands:
     """(bytes from which the band holds, least ratio, largest ratio), by rising length."""
 
-    whole: tuple[tuple[int, float, float], ...] = ((256, 0.9, 3.0), (1024, 1.05, 3.5), (4096, 1.1, 4.5), (16384, 1.15, 6.0))
-    chunk: tuple[float, float] = (1.05, 4.0)
+    # the lower limits lie between noise as text (base64, random characters: 1.40 at most) and prose (1.65 at least from 1 KB on)
+    whole: tuple[tuple[int, float, float], ...] = ((256, 1.25, 3.0), (1024, 1.45, 3.5), (4096, 1.55, 4.5), (16384, 1.75, 6.0))
+    chunk: tuple[float, float] = (1.4, 4.0)
     chunk_bytes: int = 2048
     chunk_least: int = 512
     chunk_share: float = 0.5
