@@ -31,6 +31,7 @@ from ..plans.stages import cut
 from .unionfind import Forest
 
 FIT_ROWS = 20_000  # bound of the sample on which rotations are learned
+MOST_TABLES = 64
 
 
 def learn_rotation(sample: np.ndarray, seed: int, rounds: int = 30) -> tuple[np.ndarray, np.ndarray]:
@@ -48,16 +49,22 @@ def learn_rotation(sample: np.ndarray, seed: int, rounds: int = 30) -> tuple[np.
     return mean, axes.T @ turn
 
 
-def table_layout(rows_per_label: float, threshold: float, target_bucket: int = 256, recall: float = 0.999) -> tuple[int, int]:
+def table_layout(rows_per_label: float, threshold: float, target_bucket: int = 256, recall: float = 0.999, radii: np.ndarray | None = None) -> tuple[int, int]:
     """(tables, bits a substring): buckets near the target size, and tables enough for the recall.
 
-    A sign of a rotated coordinate differs with a chance of angle/pi, which is largest
-    at the threshold; the recall is that of a pair at the threshold.
+    A sign of a rotated coordinate differs with a chance of angle/pi. Signs are those of centred
+    vectors, so the angle is that of a pair at the threshold as seen from the mean, at the
+    distances ``radii`` of vectors from it; the recall is the mean over them. Where that needs over
+    ``MOST_TABLES``, substrings get shorter, down to none, where all rows of a label meet.
     """
-    bits = min(24, max(6, math.ceil(math.log2(max(rows_per_label, 1) / target_bucket))))
-    agree = (1 - math.acos(min(1.0, threshold)) / math.pi) ** bits
-    tables = max(1, math.ceil(math.log(1 - recall) / math.log(1 - agree)) if agree < 1 else 1)
-    return tables, bits
+    chord = math.sqrt(max(0.0, 2 - 2 * threshold))
+    r = np.ones(1) if radii is None or not len(radii) else np.maximum(np.asarray(radii, dtype=float), 1e-12)
+    same = 1 - 2 * np.arcsin(np.minimum(1.0, chord / (2 * r))) / math.pi
+    for bits in range(min(24, max(6, math.ceil(math.log2(max(rows_per_label, 1) / target_bucket)))), 0, -1):
+        for tables in range(1, MOST_TABLES + 1):
+            if 1 - ((1 - same**bits) ** tables).mean() >= recall:
+                return tables, bits
+    return 1, 0
 
 
 def _encode(vectors: np.ndarray, models: list, tables: int, bits: int) -> np.ndarray:
@@ -84,19 +91,21 @@ def near_duplicates(df: DataFrame, threshold: float = 0.98, id_col: str = "vec_i
     part = min(1.0, FIT_ROWS / max(total, 1))
     picked = F.pmod(F.xxhash64(F.col("_node"), F.lit(seed)), F.lit(1 << 20)) < int(part * (1 << 20)) + 1
     sample = nodes.where(picked).select("_v").toPandas()["_v"] if total else []  # about FIT_ROWS rows at most
-    tables, bits = layout or table_layout(total / max(labels, 1), threshold)
     by_width: dict[int, list] = {}
     for v in sample:
         by_width.setdefault(len(v), []).append(v)
-    models = {}
+    units = {}
     for width, vs in by_width.items():
         x = np.asarray(vs, dtype=float)
-        x /= np.linalg.norm(x, axis=1, keepdims=True)
-        models[width] = [learn_rotation(x, seed + i) for i in range(math.ceil(tables * bits / width))]
+        units[width] = x / np.linalg.norm(x, axis=1, keepdims=True)
+    radii = [np.linalg.norm(x - x.mean(axis=0), axis=1) for x in units.values()]
+    tables, bits = layout or table_layout(total / max(labels, 1), threshold, radii=np.concatenate(radii) if radii else None)
+    rotations = lambda width: max(1, math.ceil(tables * bits / width))
+    models = {width: [learn_rotation(x, seed + i) for i in range(rotations(width))] for width, x in units.items()}
     # a width too rare for the sample gets plain random rotations
     def model(width: int) -> list:
         if width not in models:
-            models[width] = [(np.zeros(width), np.linalg.qr(np.random.default_rng(seed + i).standard_normal((width, width)))[0]) for i in range(math.ceil(tables * bits / width))]
+            models[width] = [(np.zeros(width), np.linalg.qr(np.random.default_rng(seed + i).standard_normal((width, width)))[0]) for i in range(rotations(width))]
         return models[width]
 
     def encode(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:

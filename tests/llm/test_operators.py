@@ -140,6 +140,28 @@ def test_embeddings(spark, sf, block):
     assert got[:9] == want[:9]
 
 
+@pytest.mark.parametrize("mean", [0.0, 0.9, 0.95])
+def test_embeddings_recall_at_threshold(mean):
+    rng = np.random.default_rng(int(mean * 100) + 1)
+    unit = lambda x: x / np.linalg.norm(x, axis=1, keepdims=True)
+    spread = unit(rng.standard_normal((12_000, 64)))
+    spread[:, 0] = 0
+    base = math.sqrt(1 - mean * mean) * unit(spread)
+    base[:, 0] = mean
+    base = unit(base if mean else rng.standard_normal((12_000, 64)))
+    step = rng.standard_normal(base.shape)
+    step = unit(step - (step * base).sum(axis=1, keepdims=True) * base)
+    cosine = rng.uniform(0.98, 0.985, (len(base), 1))
+    near = cosine * base + np.sqrt(1 - cosine**2) * step
+    radii = np.linalg.norm(base - base.mean(axis=0), axis=1)
+    for rows in (200, 100_000, 1_000_000):
+        tables, bits = itq.table_layout(rows, 0.98, radii=radii)
+        models = [itq.learn_rotation(base[:8000], 7 + i) for i in range(max(1, math.ceil(tables * bits / 64)))]
+        a, b = itq._encode(base, models, tables, bits), itq._encode(near, models, tables, bits)
+        print(mean, rows, tables, bits, (a == b).any(axis=1).mean())
+        assert (a == b).any(axis=1).mean() >= 0.98
+
+
 def test_embeddings_empty(spark):
     df = spark.createDataFrame([(1, None, None)], "vec_id long, embedding array<float>, label int")
     assert [tuple(r) for r in itq.near_duplicates(df).collect()] == [(1, 0, 1, True)]
