@@ -71,8 +71,19 @@ class Trajectories:
         return float(np.minimum(found, k if k is not None else np.inf).sum() * self.scale)
 
     def exact_sums(self, tau: float, tau_r: float, k: int | None) -> np.ndarray:
-        s = self.sims[:, : k if k is not None else None]
-        return np.where(s >= self.cutoffs(tau, tau_r)[:, None] - 1e-9, s, 0).sum(axis=1)
+        """Similarity sums of the whole join, exact where the kept similarities reach.
+
+        A probe with more partners than are kept, the last of them still similar enough, gets an
+        upper bound: the sum of the histogram's bins from the threshold's on, over the whole walk.
+        """
+        s, low = self.sims[:, : k if k is not None else None], self.cutoffs(tau, tau_r)
+        out = np.where(s >= low[:, None] - 1e-9, s, 0).sum(axis=1)
+        if k is not None and k <= self.sims.shape[1]:
+            return out
+        rows = np.arange(len(self.probes))
+        cut_off = (self.counts[rows, -1, 0] > self.sims.shape[1]) & (self.sims[:, -1] >= low - 1e-9)
+        bins = self.bin_of(low)
+        return np.where(cut_off, np.maximum(out, self.sums[rows, -1, bins]), out)
 
     def sum_bounds(self, tau: float, tau_r: float, k: int | None, level: int) -> np.ndarray:
         """Lower bounds of the similarity sums that the walk has by a level.
@@ -111,8 +122,8 @@ SIGMA = {
 }
 
 
-def record(p: Prepared, n: int = SAMPLE, rank_cap: int = 1_000_000) -> Trajectories:
-    """Trajectories of a sample of ``p.a`` over the index of ``p.b``; ranks beyond the cap are not followed."""
+def record(p: Prepared, n: int = SAMPLE, rank_cap: int | None = None) -> Trajectories:
+    """Trajectories of a sample of ``p.a`` over the index of ``p.b``; the whole walk is followed unless a cap is given."""
     probe = cut(sample_probes(p.a, n), "sample")
     postings = half_lists(p.b)
     log = cut(candidate_log(probe, p, postings, rank_cap), "log")

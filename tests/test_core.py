@@ -91,3 +91,21 @@ def test_candidate_bound_loses_no_pair(spark, sf):
     for p, options in ((dedup, {"tau": 0.3}), (cross, {"k": 4}), (cross, {"tau_r": 0.7})):
         got, want = ({(r.a_id, r.b_id): round(r.sim, 6) for r in f(p, **options).collect()} for f in (hybrid_join, naive_hybrid))
         assert got == want and want
+
+
+def test_trajectories_follow_the_whole_walk(spark, sf, monkeypatch):
+    import inspect
+
+    from simblock import estimate
+    from simblock.cutoff import candidate_log
+    from simblock.queries import prepared
+
+    assert inspect.signature(estimate.record).parameters["rank_cap"].default is None
+    p = prepared(spark, sf, measure="cosine")
+    monkeypatch.setattr(estimate, "KEPT", 3)
+    t = estimate.record(p, 20)
+    log = candidate_log(estimate.sample_probes(p.a, 20), p).groupBy("a_id").agg({"sim": "sum", "*": "count"}).collect()
+    whole, many = ({r["a_id"]: r[c] for r in log} for c in ("sum(sim)", "count(1)"))
+    assert max(many.values()) > 3
+    for i, s in zip(t.probes, t.exact_sums(0.0, 0.0, None)):
+        assert abs(s - whole.get(i, 0)) < 1e-6
