@@ -171,12 +171,14 @@ def near_duplicates(df: DataFrame, bits: int = 4, width: int = 4, id_col: str =
 
 
 def keep_one_of_each(df: DataFrame, bits: int = 4, width: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The row of least id of each component, with all its columns.
+    """The row of least id of each component, with all its columns; null ids come last, and of equal ids any one row stays.
 
-    Only the ids that go are joined with the rows; a row that is repeated under its id is kept once.
+    Rows are numbered in a table of their own and go by that number, so ids may be null or repeated.
     """
-    found = near_duplicates(df, bits, width, id_col, text_col)
-    gone = cut(found.where(F.col(id_col) != F.col("component_id")).select(F.col(id_col).alias("_simblock_gone")), "gone")
-    out = df.join(gone, F.col(id_col) == F.col("_simblock_gone"), "left_anti")
-    again = found.where(F.col(id_col) == F.col("component_id")).groupBy(id_col).count().where("count > 1").limit(1).count()
-    return out.dropDuplicates([id_col]) if again else out
+    row = "_simblock_row"
+    rows = cut(df.withColumn(row, F.monotonically_increasing_id()), "numbered")
+    found = near_duplicates(rows, bits, width, row, text_col).select(row, "component_id").join(rows.select(row, F.col(id_col).alias("_key")), row)
+    found = cut(found, "groups")
+    first = found.groupBy("component_id").agg(F.min(F.struct(F.col("_key").isNull().alias("last"), "_key", row)).alias("first")).select(F.col(f"first.{row}").alias(row))
+    gone = cut(found.select(row).join(first, row, "left_anti"), "gone")
+    return rows.join(gone, row, "left_anti").select(*[F.col(f"`{c}`") for c in df.columns])

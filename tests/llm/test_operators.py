@@ -281,6 +281,16 @@ def test_simhash_empty_and_keep(none, odd):
 
 
 # 5 ---------------------------------------------------------------------------------------------
+def test_simhash_keeps_by_row(spark):
+    a, b, c = (" ".join(f"{x}{i * 7 % 101}" for i in range(80)) for x in "abc")
+    rows = [(1, a), (1, b), (2, a), (2, c), (None, a), (None, "one two three four five six"), (None, "nothing like the other text here"), (5, a), (5, a), (7, "seven"), (7, "seven")]
+    kept = simhash.keep_one_of_each(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    want = [(1, a), (1, b), (2, c), rows[5], rows[6], (7, "seven")]
+    assert sorted(map(str, map(tuple, kept))) == sorted(map(str, want))
+    twins = simhash.keep_one_of_each(spark.createDataFrame([(None, a), (None, a), (3, b)], "doc_id long, text string")).collect()
+    assert sorted(str(tuple(r)) for r in twins) == sorted([str((None, a)), str((3, b))])
+
+
 def test_quotes(spark):
     rows = [
         (1, 0, "user", "Where is the station?\nI am lost."),
