@@ -82,7 +82,9 @@ class BlockMaxIndex:
         a, b = self.list_first[terms], self.list_first[terms + 1]
         short = b - a < 512
         postings = _ranges(a[short], (b - a)[short])
-        out = np.bincount(self.at[postings], np.repeat(weights[short], (b - a)[short]) * self.w[postings], self.n)
+        out = np.zeros(self.n)  # bincount of nothing has whole numbers
+        if len(postings):
+            out += np.bincount(self.at[postings], np.repeat(weights[short], (b - a)[short]) * self.w[postings], self.n)
         for i, j, x in zip(a[~short].tolist(), b[~short].tolist(), weights[~short].tolist()):
             out[self.at[i:j]] += x * self.w[i:j]
         return out

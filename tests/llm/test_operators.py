@@ -384,6 +384,22 @@ def test_bands():
         assert compression.outside(len(raw), whole, share, bands) == bad
 
 
+def test_bands_reject_noise_stored_as_text():
+    from zstandard import ZstdCompressor
+
+    compress, bands, rng = ZstdCompressor(level=3).compress, compression.Bands(), np.random.default_rng(8)
+    lines = lambda s: "\n".join(s[i : i + 76] for i in range(0, len(s), 76))
+    printable = [chr(c) for c in range(33, 127)]
+    for size in (1500, 5000, 20_000):
+        code = lines(base64.b64encode(rng.bytes(size * 3 // 4)).decode())
+        signs = " ".join("".join(rng.choice(printable, 6)) for _ in range(size // 7))
+        han = " ".join("".join(map(chr, rng.integers(0x4E00, 0x9000, 4))) for _ in range(size // 13))
+        for text in (code, signs, han):
+            raw = text.encode()
+            whole, _, _, share = compression.ratios(raw, bands, compress)
+            assert compression.outside(len(raw), whole, share, bands)
+
+
 # 9 ---------------------------------------------------------------------------------------------
 def test_block_max_is_exact():
     rng = np.random.default_rng(9)
@@ -400,6 +416,21 @@ def test_block_max_is_exact():
         assert [s for _, s in got] == pytest.approx([s for _, s in want], abs=1e-9)
 
 
+def test_block_max_with_long_lists():
+    rng = np.random.default_rng(10)
+    x = rng.random((3000, 12)) * (rng.random((3000, 12)) < 0.7)
+    x[:, 10:] *= rng.random((3000, 2)) < 0.05
+    x[:, 0] += 0.01
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    index = toxicity.BlockMaxIndex([{int(t): float(r[t]) for t in np.flatnonzero(r)} for r in x], 12)
+    for i, q in enumerate(x[:40]):
+        q = q * (np.arange(12) < 10) if i % 2 else q
+        got = index.nearest({int(t): float(q[t]) for t in np.flatnonzero(q)}, 15, skip=i)
+        score = x @ q
+        score[i] = 0
+        assert [s for _, s in got] == pytest.approx(sorted(score.tolist(), reverse=True)[:15], abs=1e-9)
+
+
 def test_toxicity(spark, none):
     rng = np.random.default_rng(2)
     plain = [f"word{i}" for i in range(200)]
@@ -416,22 +447,6 @@ def test_toxicity(spark, none):
     got = {r["doc_id"]: r for r in toxicity.score_documents(docs, marks).collect()}
     assert all((got[i]["score"] >= 0.5) == (i % 8 == 0) for i in range(400))
     assert got[902]["score"] >= 0.5 and got[902]["evidence"][0]["label"] == 1 and got[900]["score"] < 0.5 and 0 <= got[901]["score"] <= 1
-def test_bands_reject_noise_stored_as_text():
-    from zstandard import ZstdCompressor
-
-    compress, bands, rng = ZstdCompressor(level=3).compress, compression.Bands(), np.random.default_rng(8)
-    lines = lambda s: "\n".join(s[i : i + 76] for i in range(0, len(s), 76))
-    printable = [chr(c) for c in range(33, 127)]
-    for size in (1500, 5000, 20_000):
-        code = lines(base64.b64encode(rng.bytes(size * 3 // 4)).decode())
-        signs = " ".join("".join(rng.choice(printable, 6)) for _ in range(size // 7))
-        han = " ".join("".join(map(chr, rng.integers(0x4E00, 0x9000, 4))) for _ in range(size // 13))
-        for text in (code, signs, han):
-            raw = text.encode()
-            whole, _, _, share = compression.ratios(raw, bands, compress)
-            assert compression.outside(len(raw), whole, share, bands)
-
-
     kept = toxicity.keep_clean(docs, marks)
     assert kept.columns == docs.columns and {r["doc_id"] for r in kept.collect()} == {i for i in got if got[i]["score"] < 0.5}
     assert toxicity.score_documents(none.select("doc_id", "text"), marks).count() == 0
