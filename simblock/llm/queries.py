@@ -65,7 +65,7 @@ def op8_compression_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_toxic_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     scored = toxicity.score_documents(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
-    return scored.select("doc_id", toxicity.held_out("doc_id").alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    return scored.select("doc_id", toxicity.held_out("doc_id").alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "evidence")
 
 
 def op10_warc_transactions(spark: SparkSession, sf_dir: str) -> DataFrame:

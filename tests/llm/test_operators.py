@@ -470,7 +470,7 @@ def test_toxicity_examples_are_all_labelled_rows(spark):
         return {w: x / math.sqrt(sum(y * y for y in v.values())) for w, x in v.items()}
 
     vectors = {i: unit(c) for i, c in counts.items()}
-    got = toxicity.score_documents(df, marks, train=F.lit(True)).collect()
+    got = toxicity.score_documents(df, marks, train=F.lit(True), lean=None).collect()
     assert {e["label"] for r in got for e in r["evidence"]} == {0, 1}
     for r in got[::7]:
         q = vectors[r["doc_id"]]
@@ -478,6 +478,56 @@ def test_toxicity_examples_are_all_labelled_rows(spark):
         assert [e["similarity"] for e in r["evidence"]] == pytest.approx([x for x in want if x > 0], abs=1e-9)
 
 
+def test_toxicity_terms_are_selected_by_chance():
+    pairs = [(n, t) for n in range(2, 30) for t in range(0, min(n, 12) + 1)]
+    table = toxicity.pd.DataFrame([(n, t, 1 + n * t % 7) for n, t in pairs], columns=["n", "t", "many"])
+    p = {(n, t): sum(math.comb(20, i) * math.comb(180, n - i) for i in range(t, min(n, 20) + 1)) / math.comb(200, n) for n, t in pairs}
+    assert toxicity.chance(table["t"].to_numpy(), table["n"].to_numpy(), 20, 200) == pytest.approx([p[x] for x in pairs], rel=1e-6)
+    total, good = table["many"].sum(), 0.0
+    for x in sorted(p.values()):
+        good = x if x <= 0.1 * sum(m for (n, t, m) in table.itertuples(index=False) if p[n, t] <= x) / total else good
+    least = toxicity.least_toxic(table, 20, 200, 0.1)
+    assert {x for x in pairs if x[0] in least and x[1] >= least[x[0]]} == {x for x in pairs if p[x] <= good}
+    assert toxicity.least_toxic(table, 0, 200, 0.1) == {} and toxicity.least_toxic(table[:0], 20, 200, 0.1) == {}
+
+
+def test_toxicity_in_the_selected_space(spark):
+    """Neighbours and similarities of every text against vectors over the selected words and beginnings."""
+    rng = np.random.default_rng(13)
+    tail = lambda: "".join(rng.choice(list("abcdef"), 4))
+    rows = [(i, " ".join([*("plain" + tail() for _ in range(8)), *(("grausam" + tail()) for _ in range(3 if i % 4 == 0 else 0)), "ende"])) for i in range(400)]
+    marks = spark.createDataFrame([(i, int(i % 4 == 0)) for i in range(300)], "doc_id long, toxic int")
+    df = spark.createDataFrame([*rows, (500, None), (501, "ende")], "doc_id long, text string")
+    got = {r["doc_id"]: r for r in toxicity.score_documents(df, marks, train=F.lit(True)).collect()}
+    scorer = toxicity.fit(df, marks, train=F.lit(True))
+    names = [t for t, live in zip(scorer.space.joined.split(), scorer.live) if live]
+    assert {"grau*", "grausam*"} <= set(names) and not {"ende", "plai*", "plain*"} & set(names)
+    counts = {i: {t: n for t in names if (n := sum((w == t) or (t[-1] == "*" and len(w) > len(t) - 1 >= 4 and w.startswith(t[:-1])) for w in (x or "").split()))} for i, x in [*rows, (500, None), (501, "ende")]}
+    seen = {t: sum(t in c for c in counts.values()) for t in names}
+    weights = {i: {t: (1 + math.log(n)) * (math.log(403 / (1 + seen[t])) + 1) for t, n in c.items()} for i, c in counts.items()}
+    vectors = {i: {t: x / math.sqrt(sum(y * y for y in v.values())) for t, x in v.items()} for i, v in weights.items()}
+    for i in list(got)[::9]:
+        want = sorted((sum(x * vectors[j].get(t, 0) for t, x in vectors[i].items()) for j in range(300)), reverse=True)[:15]
+        assert [e["similarity"] for e in got[i]["evidence"]] == pytest.approx([x for x in want if x > 0], abs=1e-9)
+    assert all((r["score"] >= 0.5) == (i % 4 == 0 and i < 400) for i, r in got.items())
+    assert got[500]["evidence"] == got[501]["evidence"] == [] and got[500]["score"] == got[501]["score"]
+
+
+def test_toxicity_caught_by_language(spark, sf):
+    """Held-out toxic documents caught and clean ones left alone, in each language of many labels."""
+    sf = sf.replace("0.001", "0.1")
+    scored = queries.op9_toxic_neighbours(spark, sf).where("held_out").select("doc_id", "predicted")
+    known = spark.read.parquet(f"{sf}/labels.parquet").join(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "lang"), "doc_id")
+    rows = scored.join(known, "doc_id").groupBy("lang", "toxic").agg(F.count("*").alias("n"), F.avg("predicted").alias("said")).collect()
+    found = {(r["lang"], r["toxic"]): r for r in rows}
+    for lang in ("en", "de", "fr", "es"):
+        assert found[lang, 0]["said"] <= 0.03
+        if found[lang, 1]["n"] >= 10:
+            assert found[lang, 1]["said"] >= 0.7
+    caught = sum(r["said"] * r["n"] for x, r in found.items() if x[1]) / sum(r["n"] for x, r in found.items() if x[1])
+    assert caught >= 0.85
+
+
 def test_toxicity_held_out(spark, sf):
     sf = sf.replace("0.001", "0.01")
     scored = queries.op9_toxic_neighbours(spark, sf)
