@@ -4,7 +4,8 @@ Fitting takes a bounded sample of labelled rows (``FIT_ROWS``). All of them, of
 examples. Terms are words and their beginnings of 4 to 12 letters, so that inflected and
 compounded words meet. By default the terms of the space are those that stand in toxic
 sample texts more often than chance allows (one-sided hypergeometric test over distinct
-texts, false discoveries held to the share ``lean``); there is no limit on their number. With
+texts, false discoveries held to the share ``lean``) and at least ``LIFT`` times as often; there is
+no limit on their number. With
 ``lean=None`` the space is the whole vocabulary of the sample's words. Inverse document frequencies
 are from all rows. Examples are ordered so that similar ones lie together; their postings are cut into
 blocks of example numbers, with the largest weight of each block kept aside. A query visits
@@ -36,6 +37,7 @@ from ..plans.stages import cut, shuffle_partitions
 
 FIT_ROWS = 20_000  # labelled rows that are learned from at most, about
 LEAN = 0.1  # share of chance findings among the selected terms, about
+LIFT = 2.0  # how many times as often as by chance a selected term stands in toxic texts at least
 CACHED = 10_000  # scores of distinct texts that a worker keeps
 WORDS = 200_000  # words of at most LONG letters whose terms a worker keeps
 LONG = 40
@@ -207,7 +209,8 @@ def least_toxic(pairs: pd.DataFrame, toxic: int, total: int, lean: float) -> dic
 
     ``pairs`` has how many terms (``many``) stand in ``n`` texts, ``t`` of them toxic. By the rule
     of Benjamini and Hochberg the largest probability is taken up to which chance would yield
-    at most the share ``lean`` of what is found.
+    at most the share ``lean`` of what is found. Common words can lean a little beyond doubt, which
+    tells nothing and makes long lists, so a term must also reach ``LIFT`` times its expected number.
     """
     if not len(pairs) or not 0 < toxic < total:
         return {}
@@ -218,7 +221,8 @@ def least_toxic(pairs: pd.DataFrame, toxic: int, total: int, lean: float) -> dic
     out: dict[int, int] = {}
     for j in order[: good[-1] + 1] if len(good) else []:
         n, t = int(pairs["n"].iloc[j]), int(pairs["t"].iloc[j])
-        out[n] = min(t, out.get(n, t))
+        if t * total >= LIFT * n * toxic:
+            out[n] = min(t, out.get(n, t))
     return out
 
 
