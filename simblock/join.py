@@ -6,7 +6,9 @@ smaller index record). The sequential method walks inverted lists while the
 threshold rises; here the same set is worked out in rounds. A round at threshold t joins
 the prefixes that t asks for, which finds all pairs of similarity t or more;
 a probe is final once its k-th best or ``tau_r`` times its best reaches t, or t has come down
-to ``tau``. Later rounds hold unfinished probes only and know their best similarity.
+to ``tau``. Pairs that were verified below t are kept too: the k-th best of all that a probe
+has seen bounds its k-th best partner from below, so a later round, which holds unfinished probes only,
+never asks for less, and only probes that have met fewer than k partners come down to ``tau``.
 """
 
 from __future__ import annotations
@@ -14,7 +16,7 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -101,25 +103,33 @@ def known(pairs: DataFrame, m: Measure) -> DataFrame:
 
 
 def _kernel(measure: str):
-    """Similarity of sorted key arrays by Arrow batch; the sums of both sides are at hand."""
-
-    def similarity(ka: pd.Series, wa: pd.Series, ta: pd.Series, kb: pd.Series, wb: pd.Series, tb: pd.Series) -> pd.Series:
-        out = np.zeros(len(ka))
-        for n, (x, u, y, v) in enumerate(zip(ka, wa, kb, wb)):
-            at = np.searchsorted(y, x)
-            at[at == len(y)] = 0
-            hit = y[at] == x
-            u, v = u[hit], v[at[hit]]
-            out[n] = (u * v).sum() if measure == "cosine" else np.minimum(u, v).sum()
-        i, a, b = out, ta.to_numpy(), tb.to_numpy()
+    """Similarity of sorted key arrays, a whole Arrow batch at once; the sums of both sides are at hand."""
+
+    def flat(lists):
+        """(row, value) of all entries of a list column."""
+        return np.repeat(np.arange(len(lists)), np.diff(lists.offsets.to_numpy())), lists.flatten().to_numpy(zero_copy_only=False)
+
+    def similarity(ka: pa.Array, wa: pa.Array, ta: pa.Array, kb: pa.Array, wb: pa.Array, tb: pa.Array) -> pa.Array:
+        (ra, x), (rb, y) = flat(ka), flat(kb)
+        if max(x.max(initial=0), y.max(initial=0)) >= (1 << 62) // max(1, len(ka)):
+            known, at = np.unique(np.concatenate([x, y]), return_inverse=True)
+            x, y = at[: len(x)], at[len(x) :]
+        step = int(max(x.max(initial=0), y.max(initial=0))) + 1
+        x, y = ra * step + x, rb * step + y  # both rise, as rows and the keys of a row do
+        at = np.searchsorted(y, x)
+        at[at == len(y)] = 0
+        hit = y[at] == x if len(y) else np.zeros(len(x), dtype=bool)
+        u, v = wa.flatten().to_numpy(zero_copy_only=False)[hit], wb.flatten().to_numpy(zero_copy_only=False)[at[hit]]
+        i = np.bincount(ra[hit], u * v if measure == "cosine" else np.minimum(u, v), len(ka))
+        a, b = ta.to_numpy(zero_copy_only=False), tb.to_numpy(zero_copy_only=False)
         if measure == "jaccard":
             i = i / (a + b - i)
         elif measure == "dice":
             i = 2 * i / (a + b)
-        return pd.Series(i)
+        return pa.array(i, type=pa.float64())
 
     # else a filter on the similarity is moved below it and has it worked out twice
-    return F.pandas_udf(similarity, "double").asNondeterministic()
+    return F.arrow_udf(similarity, "double").asNondeterministic()
 
 
 def arrays(side: DataFrame, prefix: str) -> DataFrame:
@@ -128,8 +138,14 @@ def arrays(side: DataFrame, prefix: str) -> DataFrame:
     return packed.select(F.col("rec_id").alias(f"{prefix}_id"), F.col("s.key").alias(f"{prefix}_keys"), F.col("s.w").alias(f"{prefix}_ws"), f"{prefix}_total")
 
 
-def verify(pairs: DataFrame, sets_a: DataFrame, sets_b: DataFrame, measure: str) -> DataFrame:
-    """``(a_id, b_id, sim)`` of candidate pairs."""
+def verify(pairs: DataFrame, sets_a: DataFrame, sets_b: DataFrame, measure: str, binary: bool = False) -> DataFrame:
+    """``(a_id, b_id, sim)`` of candidate pairs; sets of weight 1 need no weights and stay in the JVM."""
+    if binary:
+        m = MEASURES[measure]
+        thin = lambda side, x: side.select(f"{x}_id", f"{x}_keys", f"{x}_total")
+        full = pairs.join(thin(sets_a, "a"), "a_id").join(thin(sets_b, "b"), "b_id")
+        shared = F.size(F.array_intersect("a_keys", "b_keys")).cast("double")
+        return full.select("a_id", "b_id", m.value(shared, F.col("a_total"), F.col("b_total")).alias("sim"))
     full = pairs.join(sets_a, "a_id").join(sets_b, "b_id")
     sim = _kernel(measure)("a_keys", "a_ws", "a_total", "b_keys", "b_ws", "b_total")
     return full.select("a_id", "b_id", sim.alias("sim"))
@@ -170,21 +186,22 @@ def directed_join(p: Prepared, cfg: JoinConfig) -> DataFrame:
     # the state of a probe: its threshold in this round
     scale = F.lit(1.0) if m.bounded else F.col("a_total")
     probes = sets_a.select("a_id", F.greatest(F.lit(cfg.tau), F.lit(levels[0]) * scale if levels else F.lit(cfg.tau)).alias("t"))
-    done = []
+    binary, met, done = p.weighting == "binary" and p.measure != "cosine", None, []
     for n in range(len(levels) + 1):
         probe = p.a.join(probes.select(F.col("a_id").alias("rec_id"), "t"), "rec_id")
         low = max(cfg.tau, levels[n] if n < len(levels) and m.bounded else 0.0)
         pairs = candidates(pre_candidates(probe, p.b, m, cfg.filters, p.dedup, low, not raised), m)
         if low > 0:
-            found = verify(pairs.select("a_id", "b_id"), sets_a, sets_b, p.measure)
-        elif cfg.tau_r == 0 and n == len(levels):
+            found = verify(pairs.select("a_id", "b_id"), sets_a, sets_b, p.measure, binary)
+        elif not raised:
             found = known(pairs, m)
         else:
             pairs = cut(pairs, "candidates")
-            found = known(pairs.where("t <= 0"), m).unionByName(verify(pairs.where("t > 0").select("a_id", "b_id"), sets_a, sets_b, p.measure))
+            found = known(pairs.where("t <= 0"), m).unionByName(verify(pairs.where("t > 0").select("a_id", "b_id"), sets_a, sets_b, p.measure, binary))
         if not levels:
             return conditions(found, cfg.tau, cfg.tau_r, cfg.k)
-        found = cut(found.join(probes, "a_id").where(F.col("sim") >= F.col("t") - 1e-9), "round")
+        seen_now = cut(found.join(probes, "a_id"), "round")
+        found = seen_now.where(F.col("sim") >= F.col("t") - 1e-9)
         kept = conditions(found.select("a_id", "b_id", "sim"), cfg.tau, cfg.tau_r, cfg.k)
         if n == len(levels):
             done.append(kept)
@@ -196,7 +213,16 @@ def directed_join(p: Prepared, cfg: JoinConfig) -> DataFrame:
         done.append(kept.join(state.where("final").select("a_id"), "a_id", "left_semi"))
         level = F.lit(cfg.tau) if n + 1 == len(levels) else F.lit(levels[n + 1])
         totals = sets_a.select("a_id", "a_total")
-        nxt = F.greatest(F.lit(cfg.tau), level * (F.lit(1.0) if m.bounded or n + 1 == len(levels) else F.col("a_total")), F.coalesce(F.col("best") * cfg.tau_r, F.lit(0.0)))
+        if cfg.k is not None:
+            older = seen_now.select("a_id", "b_id", "sim")
+            met = older if met is None else met.unionByName(older)
+            open_ = met.join(state.where("not final").select("a_id"), "a_id", "left_semi").groupBy("a_id", "b_id").agg(F.max("sim").alias("sim"))
+            best_k = Window.partitionBy("a_id").orderBy(F.desc("sim"))
+            kth = open_.withColumn("_n", F.row_number().over(best_k)).where(F.col("_n") == cfg.k).select("a_id", F.col("sim").alias("_kth"))
+            state = state.join(kth, "a_id", "left")
+        else:
+            state = state.withColumn("_kth", F.lit(None).cast("double"))
+        nxt = F.greatest(F.coalesce("_kth", F.lit(0.0)), F.lit(cfg.tau), level * (F.lit(1.0) if m.bounded or n + 1 == len(levels) else F.col("a_total")), F.coalesce(F.col("best") * cfg.tau_r, F.lit(0.0)))
         probes = cut(state.where("not final").join(totals, "a_id").select("a_id", nxt.alias("t")), "probes")
         if not probes.limit(1).count():
             break

@@ -73,9 +73,10 @@ class Prepared:
     n_b: int
     measure: str
     dedup: bool
+    weighting: str = "tfidf"
 
     def flipped(self) -> "Prepared":
-        return Prepared(self.b, self.a, self.vocabulary, self.n_b, self.n_a, self.measure, self.dedup)
+        return Prepared(self.b, self.a, self.vocabulary, self.n_b, self.n_a, self.measure, self.dedup, self.weighting)
 
 
 def prepare(a: DataFrame, b: DataFrame | None, model: TokenModel, measure: str, shared: dict | None = None) -> Prepared:
@@ -107,4 +108,4 @@ def prepare(a: DataFrame, b: DataFrame | None, model: TokenModel, measure: str,
     if kind not in shared:
         fa = finish(ta)
         shared[kind] = (fa, fa if dedup else finish(tb))
-    return Prepared(*shared[kind], vocabulary, n_a, n_b, measure, dedup)
+    return Prepared(*shared[kind], vocabulary, n_a, n_b, measure, dedup, model.weighting)
