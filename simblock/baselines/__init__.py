@@ -6,7 +6,7 @@ import math
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from ..join import conditions, unordered
@@ -40,17 +40,18 @@ def high_value_blocking(p: Prepared) -> DataFrame:
 
 
 def high_value_blocking_pruned(p: Prepared) -> DataFrame:
-    """The same pairs; pairs of one common token go as soon as any pair is known to have two.
+    """The same pairs from one pass that keeps pairs of two or more common tokens only.
 
-    The mean is then above one, so only pairs of two or more are kept for the second pass,
-    while all pairs are summed up for the mean.
+    As soon as any pair has two, the mean is above one and pairs of one token can't reach it. The mean over
+    all pairs is observed while they pass by; only if no pair has two are all of them the result.
     """
     a, b = _valued_tokens(p)
     met = a.select("key", F.col("rec_id").alias("a_id")).join(b.select("key", F.col("rec_id").alias("b_id")), "key")
     counts = (met.where("a_id < b_id") if p.dedup else met).groupBy("a_id", "b_id").agg(F.count("*").alias("n"))
-    row = counts.agg(F.avg("n"), F.max("n")).first()
-    mean, most = row[0] or 0.0, row[1] or 0
-    return counts.where(F.col("n") >= F.lit(max(mean, 2.0) if most > 1 else 1.0)).select("a_id", "b_id")
+    all_pairs = Observation()
+    kept = cut(counts.observe(all_pairs, F.avg("n").alias("mean"), F.max("n").alias("most")).where("n > 1"), "counts")
+    mean, most = all_pairs.get["mean"] or 0.0, all_pairs.get["most"] or 0
+    return (kept.where(F.col("n") >= F.lit(mean)) if most > 1 else counts).select("a_id", "b_id")
 
 
 def choose_bands(tau: float, permutations: int = 128, least_recall: float | None = None) -> tuple[int, int]:

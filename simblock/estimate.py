@@ -88,11 +88,11 @@ class Trajectories:
     def sum_bounds(self, tau: float, tau_r: float, k: int | None, level: int) -> np.ndarray:
         """Lower bounds of the similarity sums that the walk has by a level.
 
-        Pairs above the threshold's bin count whole; with more than k of them the k best are
+        Bins that begin at or above the threshold count whole; with more than k of them the k best are
         those of the highest bin that still has k, less its surplus at the bin's upper edge.
         """
         rows = np.arange(len(self.probes))
-        low = np.minimum(self.bin_of(self.cutoffs(tau, tau_r)) + 1, BINS)
+        low = np.clip(np.ceil(self.cutoffs(tau, tau_r) / self.top * BINS - 1e-9).astype(int), 0, BINS)
         counts = np.concatenate([self.counts[:, level], np.zeros((len(rows), 1))], axis=1)
         sums = np.concatenate([self.sums[:, level], np.zeros((len(rows), 1))], axis=1)
         if k is None:

@@ -337,6 +337,13 @@ def supervised_block(spark, sf):
     return supervised.block(w.a, w.b, train, objectives.recall_target(0.9), space=TUNED[2:], restarts=4, margins=(0.0, 0.1, 0.3))
 
 
+@query("supervised_block_approximate")
+def supervised_block_approximate(spark, sf):
+    w = W.items_in_docs(spark, sf)
+    train, _ = W.split_matches(w.truth, 100)
+    return supervised.block(w.a, w.b, train, objectives.recall_target(0.9), space=TUNED[2:], restarts=1, margins=(0.0, 0.1), q=0.95)
+
+
 @query("supervised_block_dedup")
 def supervised_block_dedup(spark, sf):
     w = W.docs_dedup(spark, sf)

@@ -105,7 +105,7 @@ def optimise(sides: list[Side], rows: np.ndarray, margin: float, objective, n_mi
     return best
 
 
-def choose_margin(sides: list[Side], n: int, margins: tuple, objective, n_min: int, seed: int, restarts: int) -> float:
+def choose_margin(sides: list[Side], n: int, margins: tuple, objective, n_min: int, seed: int, restarts: int, q: float = 1.0) -> float:
     """The margin whose tuned conditions score best on left-out matches in three folds."""
     if n < 3:
         return max(margins)
@@ -114,14 +114,17 @@ def choose_margin(sides: list[Side], n: int, margins: tuple, objective, n_min: i
     for d in margins:
         values = []
         for f in range(3):
-            _, point = optimise(sides, np.flatnonzero(folds != f), d, objective, n_min, seed + f, max(1, restarts // 8))
+            _, point = optimise(sides, np.flatnonzero(folds != f), d, objective, n_min, seed + f, max(1, restarts // 8), q=q)
             values.append(evaluate(sides, point, np.flatnonzero(folds == f), 0.0, n_min, SECONDS_PER_ENTRY))
         scored.append((objective(*(float(np.mean(x)) for x in zip(*values))), -d))
     return -max(scored)[1]
 
 
-def block(a: DataFrame, b: DataFrame | None, matches: DataFrame, objective, space: list | None = None, sample: int = SAMPLE, margins: tuple = MARGINS, seed: int = 1, restarts: int = RESTARTS, explain: list | None = None) -> DataFrame:
-    """``(a_id, b_id)`` of the tuned joins; ``b=None`` deduplicates (one direction)."""
+def block(a: DataFrame, b: DataFrame | None, matches: DataFrame, objective, space: list | None = None, sample: int = SAMPLE, margins: tuple = MARGINS, seed: int = 1, restarts: int = RESTARTS, explain: list | None = None, q: float = 1.0) -> DataFrame:
+    """``(a_id, b_id)`` of the tuned joins; ``b=None`` deduplicates (one direction).
+
+    With ``q`` below 1 each direction may stop its walk at the least rank that keeps this quality.
+    """
     dedup = b is None
     space = space or SPACE
     if any(m.tokenizer == "trigram" for m, _ in space) and not allow_ngrams(a, *([] if dedup else [b])):
@@ -141,12 +144,12 @@ def block(a: DataFrame, b: DataFrame | None, matches: DataFrame, objective, spac
         sides.append(Side(ps, [record(p, sample) for p in ps], thetas))
     n = len(sides[0].theta[0]) // len(margins)
     n_min = min(forward[0].n_a, forward[0].n_b)
-    margin = choose_margin(sides, n, margins, objective, n_min, seed, restarts)
-    _, point = optimise(sides, np.arange(n), margin, objective, n_min, seed, restarts)
+    margin = choose_margin(sides, n, margins, objective, n_min, seed, restarts, q)
+    _, point = optimise(sides, np.arange(n), margin, objective, n_min, seed, restarts, q=q)
     out = None
     for i, (side, x) in enumerate(zip(sides, point)):
         if explain is not None and x.k:
-            explain.append(Choice(*space[x.config], 0.0, x.tau, x.tau_r, x.k, x.rho, 1.0, ("dedup" if dedup else "a->b") if i == 0 else "b->a"))
+            explain.append(Choice(*space[x.config], 0.0, x.tau, x.tau_r, x.k, x.rho, q, ("dedup" if dedup else "a->b") if i == 0 else "b->a"))
         if x.k == 0:
             continue
         pairs = directed_join(side.prepared[x.config], JoinConfig(x.tau, x.tau_r, x.k, x.rho))

@@ -1,3 +1,6 @@
+import numpy as np
+from pyspark.sql import functions as F
+
 from simblock.baselines import choose_bands, tune_k
 from simblock.estimate import checkpoint_levels
 from simblock.unsupervised import split_budget
@@ -109,3 +112,51 @@ def test_trajectories_follow_the_whole_walk(spark, sf, monkeypatch):
     assert max(many.values()) > 3
     for i, s in zip(t.probes, t.exact_sums(0.0, 0.0, None)):
         assert abs(s - whole.get(i, 0)) < 1e-6
+
+
+def test_sum_bounds_count_bins_from_the_threshold_on(spark, sf):
+    from simblock import estimate
+    from simblock.cutoff import candidate_log
+    from simblock.queries import prepared
+
+    p = prepared(spark, sf, measure="cosine")
+    t = estimate.record(p, 20)
+    log = candidate_log(estimate.sample_probes(p.a, 20), p).select("a_id", "sim").toPandas()
+    last = len(t.levels) - 1
+    for tau in (0.0, 0.05, 0.105):
+        edge = 0.11 if tau == 0.105 else tau
+        want = log[log["sim"] >= edge - 1e-11].groupby("a_id")["sim"].sum()
+        for i, s in zip(t.probes, t.sum_bounds(tau, 0.0, None, last)):
+            assert abs(s - want.get(i, 0.0)) < 1e-6
+
+
+def test_pruned_high_value_blocking_gives_the_same_pairs(spark, sf):
+    from simblock.baselines import high_value_blocking, high_value_blocking_pruned
+    from simblock.queries import prepared
+
+    p = prepared(spark, sf, measure="jaccard")
+    plain, pruned = ({tuple(r) for r in f(p).collect()} for f in (high_value_blocking, high_value_blocking_pruned))
+    assert plain == pruned and plain
+
+
+def test_sql_ngrams_are_those_of_the_tokeniser(spark):
+    from simblock import functions
+    from simblock.tokens import ngrams
+
+    functions.register(spark)
+    df = spark.createDataFrame([("A  b\tcd",), (" ",), ("",), (None,), ("ab",), ("  Spark  joins ",)], "t string")
+    got = df.select(F.expr("token_ngrams(t, 3)").alias("x"), ngrams(F.col("t")).alias("y")).collect()
+    assert all(r["x"] == r["y"] for r in got)
+
+
+def test_weighted_kernel_with_large_keys_and_empty_sets(spark):
+    from simblock.join import verify
+
+    rng = np.random.default_rng(4)
+    sets = [({}, 1.0)] + [({int(k): float(w) for k, w in zip(np.sort(rng.choice(40, 12, replace=False)) * (1 << 56 if i % 2 else 1), rng.random(12))}, 1.0) for i in range(9)]
+    rows = [(i, list(s), list(s.values()), float(sum(s.values()))) for i, (s, _) in enumerate(sets)]
+    side = lambda x: spark.createDataFrame(rows, f"{x}_id long, {x}_keys array<long>, {x}_ws array<double>, {x}_total double")
+    pairs = spark.createDataFrame([(i, j) for i in range(10) for j in range(10) if i + j], "a_id long, b_id long")
+    for r in verify(pairs, side("a"), side("b"), "overlap").collect():
+        a, b = sets[r.a_id][0], sets[r.b_id][0]
+        assert abs(r.sim - sum(min(w, b[k]) for k, w in a.items() if k in b)) < 1e-9
