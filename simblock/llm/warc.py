@@ -42,8 +42,11 @@ def base32_sha1(data: Column) -> Column:
     return F.concat(*out)
 
 
-def archive_pages(pages: DataFrame, path: str, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", date: str = "2020-01-01T00:00:00Z", records_per_archive: int = 6_000) -> None:
-    """Write archives with three records for each page."""
+def archive_pages(pages: DataFrame, path: str, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", date: str = "2020-01-01T00:00:00Z", records_per_archive: int = 6_000, archive_bytes: int = 64 << 20) -> None:
+    """Write archives with three records for each page, of about ``archive_bytes`` of payload at most by the mean page.
+
+    Rows get their numbers in a table of their own, so a capture keeps its name however often it is read.
+    """
     payload = F.coalesce(F.col(html_col), F.lit(""))
     rows = pages.select(
         F.col(id_col).alias("_id"),
@@ -52,6 +55,9 @@ def archive_pages(pages: DataFrame, path: str, id_col: str = "page_id", url_col:
         F.unhex(F.sha1(F.encode(payload, "UTF-8"))).alias("_sha"),
         F.monotonically_increasing_id().alias("_row"),
     )
+    rows = cut(rows, "numbered")
+    mean = rows.agg(F.avg(F.octet_length("_body"))).first()[0] or 0.0
+    many = max(1, min(records_per_archive // 3, int(archive_bytes / max(mean, 1.0))))
     groups = rows.groupBy("_sha").agg(F.count("*").alias("_n"), F.min(F.struct("_id", "_row")).alias("_first"))
     copies = cut(groups.where("_n > 1").select("_sha", "_first"), "copies")
     rows = rows.join(copies, "_sha", "left")
@@ -77,7 +83,7 @@ def archive_pages(pages: DataFrame, path: str, id_col: str = "page_id", url_col:
     asked = record(F.lit("request"), urn("request", F.col("_key")), [target, line("WARC-Concurrent-To", capture)], "application/http;msgtype=request", F.concat(F.lit("GET "), F.col("_url"), F.lit(" HTTP/1.1" + END)))
     about = record(F.lit("metadata"), urn("metadata", F.col("_key")), [line("WARC-Concurrent-To", capture)], "application/warc-fields", line("pageId", F.coalesce(F.col("_id").cast("string"), F.lit(""))))
     out = rows.select(F.concat(asked, F.lit(END), main, F.lit(END), about).alias("value"))
-    out.write.option("lineSep", END).option("compression", "gzip").option("maxRecordsPerFile", records_per_archive // 3).text(path)
+    out.write.option("lineSep", END).option("compression", "gzip").option("maxRecordsPerFile", many).text(path)
 
 
 def _unpack(data: bytes) -> bytes:
@@ -188,7 +194,9 @@ def round_trip(pages: DataFrame, id_col: str = "page_id", url_col: str = "url",
     path = fresh_path(spark, "warc")
     archive_pages(pages, path, id_col, url_col, html_col)
     kind = dict(pages.dtypes)[id_col]
-    captures = assemble(read_archives(spark, path))
+    # parsed once; digests and lengths of the payloads read are columns, so the payloads need not be kept
+    records = cut(read_archives(spark, path).withColumn("payload", F.lit(None).cast("binary")), "records")
+    captures = assemble(records)
     flat = cut(
         captures.select(
             "record_id",
