@@ -29,8 +29,10 @@ from ..plans.components import connected_components
 from ..plans.stages import cut, shuffle_partitions
 from .unionfind import Forest
 
-SAMPLE = 20_000  # fingerprints from which the tree is built
+SAMPLE = 131_072  # fingerprints from which the tree is built, about
 SHARD = 4_096  # fingerprints at home in a shard, about
+BLOCK = 131_072  # fingerprints of a shard that one task holds, about
+TILE = 16_384  # fingerprints that 256 others are compared with at once
 
 
 def fingerprint(text: str | None, width: int = 4, seed: int = 42) -> int:
@@ -119,48 +121,58 @@ class VantageTree:
         return tuple(np.concatenate(x) for x in zip(*out))
 
 
-def shard_links(points: np.ndarray, bits: int) -> np.ndarray:
-    """Root (a row number) of each row in a spanning forest of the shard's links."""
+def shard_links(points: np.ndarray, bits: int, side: np.ndarray | None = None) -> np.ndarray:
+    """Root (a row number) of each row in a spanning forest of the shard's links; with sides given, of those across sides."""
     forest = Forest(len(points))
     away = np.bitwise_count(points ^ points[0]).astype(np.int16)
     order = np.lexsort((points, away))
     points, away = points[order], away[order]
+    side = None if side is None else side[order]
     for s in range(0, len(points), 256):
         a = points[s : s + 256]
-        high = np.searchsorted(away, away[min(s + 255, len(points) - 1)] + bits, side="right")
-        i, j = np.nonzero(np.bitwise_count(a[:, None] ^ points[None, s:high]) <= bits)
-        later = i < j
-        forest.link(order[i[later] + s], order[j[later] + s])
+        high = int(np.searchsorted(away, away[min(s + 255, len(points) - 1)] + bits, side="right"))
+        for t in range(s, high, TILE):
+            i, j = np.nonzero(np.bitwise_count(a[:, None] ^ points[None, t : min(t + TILE, high)]) <= bits)
+            i, j = i + s, j + t
+            wanted = i < j if side is None else (i < j) & (side[i] != side[j])
+            forest.link(order[i[wanted]], order[j[wanted]])
     return forest.roots()
 
 
-def near_duplicates(df: DataFrame, bits: int = 4, width: int = 4, id_col: str = "doc_id", text_col: str = "text", shard: int = SHARD) -> DataFrame:
+def near_duplicates(df: DataFrame, bits: int = 4, width: int = 4, id_col: str = "doc_id", text_col: str = "text", shard: int = SHARD, block: int = BLOCK) -> DataFrame:
     """``(id, fingerprint, component_id)`` for every row."""
     prints = cut(fingerprints(df, id_col, text_col, width), "prints")
     distinct = cut(prints.groupBy("_print").agg(F.min("_id").alias("_least")), "distinct")
     total = distinct.count()
     share = int(min(1.0, SAMPLE / max(total, 1)) * (1 << 30)) + 1
-    rows = distinct.where(F.pmod(F.xxhash64("_print", F.lit(5)), F.lit(1 << 30)) < share).select("_print").collect()
-    sample = np.array(sorted(r[0] for r in rows), dtype=np.int64).view(np.uint64)
+    rows = distinct.where(F.pmod(F.xxhash64("_print", F.lit(5)), F.lit(1 << 30)) < share).select("_print").toPandas()  # about SAMPLE rows at most
+    sample = np.sort(rows["_print"].to_numpy(dtype=np.int64)).view(np.uint64)
     tree = VantageTree(sample, max(0, math.ceil(math.log2(max(total, 1) / shard))))
 
     def deal(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             points = b["_print"].to_numpy(dtype=np.int64)
-            for s in range(0, len(points), 4096):
-                part = points[s : s + 4096]
+            for s in range(0, len(points), 8192):
+                part = points[s : s + 8192]
                 leaf, row = tree.deal(part.view(np.uint64), bits)
                 yield pd.DataFrame({"_leaf": leaf, "_print": part[row]})
 
     def search(key: tuple, g: pd.DataFrame) -> pd.DataFrame:
         signed = g["_print"].to_numpy(dtype=np.int64)
-        root = shard_links(signed.view(np.uint64), bits)
+        root = shard_links(signed.view(np.uint64), bits, None if key[1] == key[2] else g["_mine"].to_numpy())
         tied = root != np.arange(len(g))
         return pd.DataFrame({"u": signed[tied], "v": signed[root[tied]]})
 
     spread = distinct.select("_print").repartition(shuffle_partitions(df.sparkSession), "_print")
-    dealt = spread.mapInPandas(deal, "_leaf long, _print long")
-    edges = dealt.groupBy("_leaf").applyInPandas(search, "u long, v long")
+    dealt = cut(spread.mapInPandas(deal, "_leaf long, _print long"), "dealt")
+    sizes = dealt.groupBy("_leaf").count().where(F.col("count") > block)
+    wide = cut(sizes.select("_leaf", F.ceil(F.col("count") / block).cast("int").alias("_parts")), "wide")
+    parts = F.coalesce("_parts", F.lit(1))
+    blocks = dealt.join(F.broadcast(wide), "_leaf", "left")  # at most a row for each of the tree's leaves
+    blocks = blocks.withColumn("_mine", F.pmod(F.xxhash64("_print", F.lit(9)), parts.cast("long")).cast("int"))
+    blocks = blocks.withColumn("_other", F.explode(F.sequence(F.lit(0), parts - 1)))
+    blocks = blocks.select("_leaf", "_print", "_mine", F.least("_mine", "_other").alias("_lo"), F.greatest("_mine", "_other").alias("_hi"))
+    edges = blocks.groupBy("_leaf", "_lo", "_hi").applyInPandas(search, "u long, v long")
     roots = connected_components(edges)
     known = distinct.join(roots.withColumnRenamed("node", "_print"), "_print", "left").withColumn("root", F.coalesce("root", "_print"))
     known = cut(known.select("_print", "_least", "root"), "roots")
