@@ -4,7 +4,7 @@ A text is split by the public pattern. A pre-token that is a vocabulary entry is
 through a minimal perfect hash over the vocabulary's byte strings (and compared with the
 entry in full); any other is merged by rank with a heap over a linked list of its
 bytes, so a pre-token of n bytes takes O(n log n) however long it is. Results of
-pre-tokens are kept in a bounded cache of the worker.
+pre-tokens are kept in a cache of the worker, bounded by their number and their bytes.
 
 Defined results: a null or empty text has no ids and decodes to no bytes; repeated rows
 are encoded one by one; an empty table gives an empty result; other columns are ignored.
@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 from .wordtokens import IdTable
 
 CACHE = 400_000  # pre-tokens in a worker's cache
+CACHE_BYTES = 64 << 20  # bytes of the cached pre-tokens
 _codecs: dict[tuple[str, str], "ByteBpe"] = {}
 
 
@@ -131,6 +132,7 @@ class ByteBpe:
     def reset(self) -> None:
         self.known: dict[str, int] = {}
         self.table = IdTable()
+        self.held = 0
 
     def merge(self, word: bytes) -> list[int]:
         """Ids of a pre-token outside the vocabulary."""
@@ -173,6 +175,7 @@ class ByteBpe:
         found = [(ids[r],) if r >= 0 and keys[r] == w else self.merge(w) for r, w in zip(row.tolist(), raw)]
         self.known.update(zip(new, range(self.table.rows, self.table.rows + len(new))))
         self.table.extend(found)
+        self.held += sum(map(len, raw))
 
     def encode(self, text: str | None) -> np.ndarray:
         if not text:
@@ -184,7 +187,10 @@ class ByteBpe:
                 self.reset()
             self.learn(tokens)
             rows = list(map(self.known.get, tokens))
-        return self.table.take(np.asarray(rows, dtype=np.int64))
+        ids = self.table.take(np.asarray(rows, dtype=np.int64))
+        if self.held > CACHE_BYTES:  # long unbroken pre-tokens are not kept beyond their text
+            self.reset()
+        return ids
 
     def decode(self, ids: np.ndarray) -> bytes:
         return self._gather(self.bytes_of, np.asarray(ids, dtype=np.int64)) if len(ids) else b""
