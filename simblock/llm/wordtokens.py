@@ -15,6 +15,7 @@ from itertools import chain
 import numpy as np
 
 CACHE = 500_000  # chunks in a worker's cache
+CACHE_BYTES = 64 << 20  # bytes of the cached chunks
 BLOCK = 300_000  # chunks that are looked up together
 STOP = re.compile(rb"[.,](?<=[a-z0-9].)(?=[ \t-\r]|$)")
 _encoders: dict[str, "ChunkEncoder"] = {}
@@ -67,6 +68,7 @@ class ChunkEncoder:
     def reset(self) -> None:
         self.known: dict[bytes, int] = {}
         self.table = IdTable()
+        self.held = 0
 
     def learn(self, new: list[bytes]) -> None:
         """Encode chunks. Those of letters only are one pre-token each, so many are encoded as
@@ -93,6 +95,7 @@ class ChunkEncoder:
         keys = [t.encode("utf-8", "surrogatepass") for t in part]
         self.known.update(zip(keys, range(self.table.rows, self.table.rows + len(keys))))
         self.table.add(ids, lengths)
+        self.held += sum(map(len, keys))
 
     def documents(self, texts: list[str], end_id: int | None) -> Iterator[np.ndarray]:
         """The ids of each text, with the end id behind them if one is given."""
@@ -129,6 +132,8 @@ class ChunkEncoder:
         at = np.cumsum([0, *map(len, block)])
         for a, b in zip(at[:-1].tolist(), at[1:].tolist()):
             yield ids[ends[a] : ends[b]]
+        if self.held > CACHE_BYTES:  # long unbroken chunks are not kept beyond their block
+            self.reset()
 
 
 def encoder(path: str) -> ChunkEncoder:

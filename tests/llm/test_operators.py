@@ -250,6 +250,30 @@ def test_simhash(spark, sf, odd):
         assert sorted(map(tuple, simhash.near_duplicates(df, shard=shard).collect())) == want
 
 
+def test_simhash_cuts_large_shards(spark, sf, odd):
+    """Shards over a block are compared block by block, with the same result."""
+    df = docs(spark, sf, odd)
+    want = slow_components([(i, slow_print(t)) for i, t in texts(df)], 4)
+    for shard, block in ((1 << 20, 37), (64, 16), (1 << 20, 1)):
+        got = simhash.near_duplicates(df if block > 1 else odd, shard=shard, block=block)
+        assert sorted(map(tuple, got.collect())) == (want if block > 1 else slow_components([(i, slow_print(t)) for i, t in texts(odd)], 4))
+
+
+def test_shard_links_in_tiles(monkeypatch):
+    """Narrow tiles, with and without sides, give the links of brute force."""
+    rng = np.random.default_rng(9)
+    base = rng.integers(0, 1 << 63, 400, dtype=np.uint64)
+    points = np.unique(np.concatenate([base, base ^ (np.uint64(1) << rng.integers(0, 64, 400, dtype=np.uint64))]))
+    side = rng.integers(0, 2, len(points))
+    near = np.bitwise_count(points[:, None] ^ points[None, :]) <= 4
+    monkeypatch.setattr(simhash, "TILE", 50)
+    for sides in (None, side):
+        want = simhash.Forest(len(points))
+        want.link(*np.nonzero(near if sides is None else near & (side[:, None] != side[None, :])))
+        roots, expected = simhash.shard_links(points, 4, sides), want.roots()
+        assert len(set(zip(roots.tolist(), expected.tolist()))) == len(set(expected.tolist())) == len(set(roots.tolist()))
+
+
 def test_vantage_tree_meets_every_pair():
     rng = np.random.default_rng(5)
     base = rng.integers(0, 1 << 63, 300, dtype=np.uint64)
@@ -333,6 +357,30 @@ def test_bpe(spark, sf, odd):
     assert bpe.round_trip(df.where("false"), RANKS, public_tokenizers.PATTERN).count() == 0
 
 
+def test_caches_are_bounded_by_bytes(monkeypatch):
+    """Long unbroken pre-tokens and chunks give the libraries' ids and leave no more than the bound behind."""
+    import tiktoken
+    from tokenizers import Tokenizer
+
+    from simblock.llm import wordtokens
+
+    rng = np.random.default_rng(2)
+    words = ["".join(map(chr, rng.integers(97, 123, n))) for n in (5, 20_000, 7, 30_000, 3, 200_000)]
+    given = [*words, " ".join(words[:4]), "short words stay", words[1]]
+    t = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=bpe.read_ranks(RANKS), special_tokens={})
+    monkeypatch.setattr(bpe, "CACHE_BYTES", 1000)
+    monkeypatch.setattr(wordtokens, "CACHE_BYTES", 1000)
+    own = bpe.ByteBpe(RANKS, public_tokenizers.PATTERN)
+    for text in given:
+        assert own.encode(text).tolist() == t.encode_ordinary(text)
+        assert own.held <= 1000 and sum(map(len, own.known)) <= 1000
+    chunks, whole = wordtokens.ChunkEncoder(WORD), Tokenizer.from_file(WORD)
+    for texts_ in (given, given[:3], given[-2:]):
+        got = [ids.tolist() for ids in chunks.documents(texts_, 2)]
+        assert got == [whole.encode(x, add_special_tokens=False).ids + [2] for x in texts_]
+        assert chunks.held <= 1000 and sum(map(len, chunks.known)) <= 1000
+
+
 def test_perfect_hash():
     keys = list(bpe.read_ranks(RANKS))
     h = bpe.PerfectHash(keys)
