@@ -162,6 +162,38 @@ def test_embeddings_recall_at_threshold(mean):
         assert (a == b).any(axis=1).mean() >= 0.98
 
 
+@pytest.mark.parametrize("mean", [0.0, 0.9])
+def test_hamming_bound_keeps_pairs_at_threshold(mean):
+    """Whole codes of pairs at 0.98-0.985 are within the bound, those of unrelated vectors hardly ever."""
+    rng = np.random.default_rng(int(mean * 100) + 5)
+    unit = lambda x: x / np.linalg.norm(x, axis=1, keepdims=True)
+    base = unit(unit(rng.standard_normal((12_000, 64))) * math.sqrt(1 - mean * mean) + mean * np.eye(64)[0])
+    step = rng.standard_normal(base.shape)
+    step = unit(step - (step * base).sum(axis=1, keepdims=True) * base)
+    cosine = rng.uniform(0.98, 0.985, (len(base), 1))
+    near = cosine * base + np.sqrt(1 - cosine**2) * step
+    radii = np.linalg.norm(base - base.mean(axis=0), axis=1)
+    models = [itq.learn_rotation(base[:8000], 7 + i) for i in range(2)]
+    a, b = itq._signs(base, models), itq._signs(near, models)
+    most = itq.hamming_bound(128, 0.98, radii)
+    assert ((a != b).sum(axis=1) <= most).mean() >= 0.999
+    assert ((a != np.roll(a, 1, axis=0)).sum(axis=1) <= most).mean() <= 0.01
+    assert itq.hamming_bound(128, 1.0) == 0 and itq.hamming_bound(128, 0.98, np.zeros(3)) == 128
+
+
+def test_have_neighbours():
+    rng = np.random.default_rng(4)
+    codes = rng.integers(0, 1 << 8, (700, 2), dtype=np.uint64)
+    d = np.bitwise_count(codes[:, None] ^ codes[None, :]).sum(axis=2)
+    for most in (0, 1, 3):
+        every = np.arange(len(codes))
+        assert (itq.have_neighbours(codes, every, every, most) == ((d <= most).sum(axis=1) > 1)).all()
+        left, right = every[::3], np.setdiff1d(every, every[::3])
+        want = np.zeros(len(codes), dtype=bool)
+        want[left], want[right] = (d[np.ix_(left, right)] <= most).any(axis=1), (d[np.ix_(left, right)] <= most).any(axis=0)
+        assert (itq.have_neighbours(codes, left, right, most) == want).all()
+
+
 def test_embeddings_empty(spark):
     df = spark.createDataFrame([(1, None, None)], "vec_id long, embedding array<float>, label int")
     assert [tuple(r) for r in itq.near_duplicates(df).collect()] == [(1, 0, 1, True)]
