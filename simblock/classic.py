@@ -6,8 +6,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .join import arrays, candidates, conditions, pre_candidates, unordered, verify
-from .measures import MEASURES
-from .weights import Prepared
+from .measures import MEASURES, SLACK
+from .weights import Prepared, running
 
 
 def scored_pairs(p: Prepared) -> DataFrame:
@@ -68,12 +68,39 @@ ABLATION = {
 }
 
 
-def filter_counts(p: Prepared, tau: float) -> DataFrame:
+#: other forms of the suffix and positional filters
+FORMS = {
+    "suffix_plain": {"prefix", "suffix_plain"},
+    "positional_exact": {"prefix", "positional_exact"},
+    "plain_and_exact": {"prefix", "size", "suffix_plain", "positional_exact"},
+}
+
+
+def by_sums(side: DataFrame) -> DataFrame:
+    """A prepared side with its running sums over weights instead of squared weights."""
+    return running(side.select("rec_id", "key", "w"), 1)
+
+
+def prefix_bounds(p: Prepared, tau: float) -> DataFrame:
+    """``(bound, entries)``: index entries of cosine prefixes under the bound on sums and that on squares."""
+    row = lambda name, kept: kept.agg(F.lit(name).alias("bound"), F.count("*").alias("entries"))
+    return row("sum", by_sums(p.b).where(F.col("suf") >= tau - SLACK)).unionAll(row("square", p.b.where(F.col("suf") >= tau * tau - SLACK)))
+
+
+def cosine_join_by_sums(p: Prepared, tau: float) -> DataFrame:
+    """Cosine join whose prefixes end where the summed weights left fall short of ``tau``, as weights of unit sets are at most 1."""
+    a, b = (by_sums(x).where(F.col("suf") >= tau - SLACK).select("key", F.col("rec_id").alias(n)) for x, n in ((p.a, "a_id"), (p.b, "b_id")))
+    met = a.join(b, "key")
+    met = (met.where("a_id < b_id") if p.dedup else met).select("a_id", "b_id").distinct()
+    return conditions(verify(met, arrays(p.a, "a"), arrays(p.b, "b"), p.measure), tau, 0.0, None)
+
+
+def filter_counts(p: Prepared, tau: float, sets: dict = ABLATION) -> DataFrame:
     """``(filters, entries)``: list entries that survive each set of filters at one threshold."""
     m = MEASURES[p.measure]
     probe = p.a.withColumn("t", F.lit(float(tau)))
     out = None
-    for name, filters in ABLATION.items():
+    for name, filters in sets.items():
         row = pre_candidates(probe, p.b, m, frozenset(filters), p.dedup).agg(F.lit(name).alias("filters"), F.count("*").alias("entries"))
         out = row if out is None else out.unionAll(row)
     return out

@@ -55,8 +55,14 @@ def admissible(m: Measure, filters: frozenset, t: Column) -> Column:
         out = out & (s_b >= m.suffix_low(t, t_a, s_a, p_b))
         if (high := m.suffix_high(t, s_a, p_a, p_b)) is not None:
             out = out & (s_b <= high)
+    if "suffix_plain" in filters:  # the bounds of the size filter, on suffixes
+        out = out & (s_b >= m.size_low(t, t_a))
+        if (high := m.size_high(t, t_a)) is not None:
+            out = out & (s_b <= high)
     if "positional" in filters:
         out = out & m.attainable(t, s_a, s_b, t_a, t_b)
+    if "positional_exact" in filters:
+        out = out & m.attainable_exact(t, s_a, s_b, t_a, t_b, F.col("w"), F.col("w_b"))
     return out
 
 

@@ -78,6 +78,14 @@ class Measure:
         need = {"jaccard": lambda: tau / (1 + tau) * (total_a + total_b), "dice": lambda: tau / 2 * (total_a + total_b), "overlap": lambda: tau}[self.name]()
         return F.least(s_a, s_b) >= need - SLACK
 
+    def attainable_exact(self, tau: Column, s_a: Column, s_b: Column, total_a: Column, total_b: Column, w_a: Column, w_b: Column) -> Column:
+        """The positional test with what the token itself adds, apart from what may follow it."""
+        if self.name == "cosine":
+            left = F.greatest(s_a - w_a * w_a, F.lit(0.0)) * F.greatest(s_b - w_b * w_b, F.lit(0.0))
+            return w_a * w_b + F.sqrt(left) >= tau - SLACK
+        need = {"jaccard": lambda: tau / (1 + tau) * (total_a + total_b), "dice": lambda: tau / 2 * (total_a + total_b), "overlap": lambda: tau}[self.name]()
+        return F.least(w_a, w_b) + F.least(s_a - w_a, s_b - w_b) >= need - SLACK
+
 
 MEASURES = {
     "jaccard": Measure("jaccard"),

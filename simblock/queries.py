@@ -6,10 +6,10 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import baselines, classic, cutoff, estimate, metrics, objectives, quality, supervised, unsupervised
+from . import baselines, classic, cutoff, estimate, metrics, objectives, quality, supervised, unsupervised, verification
 from . import sqltext as S
 from . import workloads as W
-from .join import hybrid_join
+from .join import arrays, hybrid_join
 from .measures import MEASURES
 from .sources import load
 from .tokens import ngrams, term_counts, words
@@ -219,6 +219,46 @@ query("filter_ablation_jaccard", _counts_sql("jaccard", 0.5))(lambda spark, sf:
 query("filter_ablation_cosine", _counts_sql("cosine", 0.6))(lambda spark, sf: classic.filter_counts(prepared(spark, sf, W.docs, None, weighting="binary", measure="cosine"), 0.6))
 
 
+def _forms_sql(tau: float) -> str:
+    need = f"{tau / (1 + tau)} * (a.total + b.total) - 1e-9"
+    plain = f"b.suf >= {tau} * a.total - 1e-9 AND b.suf <= a.total / {tau} + 1e-9"
+    size = f"b.total >= {tau} * a.total - 1e-9 AND b.total <= a.total / {tau} + 1e-9"
+    return f"""WITH {S.sets(S.DOCS, None, 'word', 'tfidf', 'jaccard')}, r AS (SELECT * FROM ({S.running('jaccard')}) w WHERE suf >= {tau} * w.total - 1e-9),
+ m AS (SELECT {plain} AS plain, {size} AS size, least(a.w, b.w) + least(a.suf - a.w, b.suf - b.w) >= {need} AS by_position FROM r a JOIN r b ON a.token = b.token AND a.rec_id <> b.rec_id)
+ SELECT 'suffix_plain' AS filters, count(*) AS entries FROM m WHERE plain UNION ALL SELECT 'positional_exact', count(*) FROM m WHERE by_position
+ UNION ALL SELECT 'plain_and_exact', count(*) FROM m WHERE size AND plain AND by_position"""
+
+
+query("filter_forms_weighted", _forms_sql(0.5))(lambda spark, sf: classic.filter_counts(prepared(spark, sf, W.docs, None), 0.5, classic.FORMS))
+query("threshold_join_plain_and_exact", S.hybrid(S.DOCS, None, "word", "tfidf", "dice", tau=0.5))(
+    lambda spark, sf: out(hybrid_join(prepared(spark, sf, W.docs, None, measure="dice"), tau=0.5, filters=frozenset(classic.FORMS["plain_and_exact"])))
+)
+
+
+@query("cosine_prefix_bounds", f"""WITH {S.sets(S.ITEMS, S.DOCS, 'word', 'tfidf', 'cosine')},
+ s AS (SELECT sum(w) OVER o AS by_sum, sum(w * w) OVER o AS by_square FROM wb WINDOW o AS (PARTITION BY rec_id ORDER BY df, token ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING))
+ SELECT 'sum' AS bound, count(*) FILTER (WHERE by_sum >= 0.6 - 1e-9) AS entries FROM s UNION ALL SELECT 'square', count(*) FILTER (WHERE by_square >= 0.36 - 1e-9) FROM s""")
+def cosine_prefix_bounds(spark, sf):
+    return classic.prefix_bounds(prepared(spark, sf, measure="cosine"), 0.6)
+
+
+query("cosine_join_by_sums", S.hybrid(S.ITEMS, S.DOCS, "word", "tfidf", "cosine", tau=0.3))(lambda spark, sf: out(classic.cosine_join_by_sums(prepared(spark, sf, measure="cosine"), 0.3)))
+
+
+def _partial_query(measure: str, tau: float):
+    sql = f"WITH {S.pairs(S.ITEMS, S.DOCS, 'word', 'tfidf', measure)} SELECT a_id, b_id, CASE WHEN round(sim, 9) >= {tau} THEN round(sim, 6) ELSE 0.0::DOUBLE END AS sim FROM pairs"
+
+    @query(f"partial_similarity_{measure}", sql)
+    def run(spark, sf):
+        p = prepared(spark, sf, measure=measure)
+        return out(verification.partial_similarity(verification.first_shared(p), arrays(p.a, "a"), arrays(p.b, "b"), measure, tau))
+
+
+for _measure, _tau in (("jaccard", 0.1), ("cosine", 0.3), ("dice", 0.2), ("overlap", 20.0)):
+    _partial_query(_measure, _tau)
+query("partial_threshold_join", S.hybrid(S.DOCS, None, "word", "tfidf", "jaccard", tau=0.4))(lambda spark, sf: out(verification.partial_join(prepared(spark, sf, W.docs, None), 0.4)))
+
+
 @query("precandidates_partitioned", f"""WITH {S.sets(S.DOCS, None, 'word', 'binary', 'jaccard')}, r AS (SELECT * FROM ({S.running('jaccard')}) w WHERE suf >= 0.5 * total - 1e-9),
  h AS (SELECT *, CASE WHEN pre * count(*) OVER (PARTITION BY token) >= sum(pre) OVER (PARTITION BY token) THEN 1 ELSE 0 END AS half, min(pre) OVER (PARTITION BY token) AS lm FROM r),
  g AS (SELECT *, min(pre) OVER (PARTITION BY token, half) AS hm FROM h),
