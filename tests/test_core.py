@@ -160,3 +160,36 @@ def test_weighted_kernel_with_large_keys_and_empty_sets(spark):
     for r in verify(pairs, side("a"), side("b"), "overlap").collect():
         a, b = sets[r.a_id][0], sets[r.b_id][0]
         assert abs(r.sim - sum(min(w, b[k]) for k, w in a.items() if k in b)) < 1e-9
+
+
+def test_partial_similarity_equals_brute_force(spark):
+    """Every measure, sets longer than a stride, disjoint sets, and thresholds that stop early or never."""
+    import random
+
+    from simblock import verification
+    from simblock.join import arrays
+    from simblock.weights import TokenModel, prepare
+
+    draw = random.Random(3)
+    vocabulary = [f"w{i}" for i in range(120)]
+    texts = [" ".join(draw.choices(vocabulary, k=n)) for n in (1, 3, 40, 90, 150, 60, 60)] + ["solo", "", None]
+    texts.append(texts[3])
+    a = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "rec_id long, text string")
+    for measure in ("jaccard", "cosine", "dice", "overlap"):
+        p = prepare(a, None, TokenModel("word", "tfidf"), measure)
+        sets = {}
+        for r in p.a.collect():
+            sets.setdefault(r["rec_id"], {})[r["key"]] = (r["w"], r["total"])
+        want = {}
+        for i, x in sets.items():
+            for j, y in sets.items():
+                if i < j and x.keys() & y.keys():
+                    inter = sum(x[k][0] * y[k][0] if measure == "cosine" else min(x[k][0], y[k][0]) for k in x.keys() & y.keys())
+                    tx, ty = next(iter(x.values()))[1], next(iter(y.values()))[1]
+                    want[i, j] = {"jaccard": inter / (tx + ty - inter), "dice": 2 * inter / (tx + ty)}.get(measure, inter)
+        for tau in (0.0, 0.25, 0.6, 1e9):
+            got = verification.partial_similarity(verification.first_shared(p), arrays(p.a, "a"), arrays(p.b, "b"), measure, tau).collect()
+            assert {(r["a_id"], r["b_id"]) for r in got} == set(want)
+            for r in got:
+                s = want[r["a_id"], r["b_id"]]
+                assert abs(r["sim"] - (s if round(s, 9) >= tau else 0.0)) < 1e-9
