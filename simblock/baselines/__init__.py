@@ -9,6 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
+from ..estimate import MARGINS
 from ..join import conditions, unordered
 from ..plans.stages import cut
 from ..weights import Prepared
@@ -138,25 +139,25 @@ def _project(df: DataFrame, matrix: np.ndarray) -> DataFrame:
     return df.select("rec_id", turn("vector").alias("vector"))
 
 
-def dense_self(p: Prepared, k: int, width: int = 256, dims: int = 64, fit_rows: int = 5000) -> DataFrame:
-    """Stand-in for a self-supervised encoder: a linear autoencoder (principal axes of a bounded
-    sample of hashed TF-IDF vectors), then cosine neighbours."""
+def encode_self(p: Prepared, width: int = 256, dims: int = 64, fit_rows: int = 5000) -> tuple[DataFrame, DataFrame | None]:
+    """Stand-in for a self-supervised encoder: vectors of both sides by a linear autoencoder (principal axes
+    of a bounded sample of hashed TF-IDF vectors)."""
     va, vb = hashed_vectors(p.a, width), None if p.dedup else hashed_vectors(p.b, width)
     rows = va.orderBy(F.md5(F.col("rec_id").cast("string"))).limit(fit_rows).select("vector").collect()
     x = np.array([r[0] for r in rows])
     _, _, axes = np.linalg.svd(x.T @ x)
-    out = dense_top_k(_project(va, axes[:dims].T), None if vb is None else _project(vb, axes[:dims].T), k)
-    return unordered(out) if p.dedup else out
+    return _project(va, axes[:dims].T), None if vb is None else _project(vb, axes[:dims].T)
 
 
-def dense_matched(p: Prepared, matches: DataFrame, k: int, width: int = 256, rounds: int = 200) -> DataFrame:
+def encode_matched(p: Prepared, matches: DataFrame, width: int = 256, rounds: int = 200, fit_rows: int = 10_000) -> tuple[DataFrame, DataFrame | None]:
     """Stand-in for a match-trained encoder: weights of the hashed dimensions by logistic
-    regression on the agreement of matches and of as many shifted non-matches."""
+    regression on the agreement of matches (at most ``fit_rows``, by a hash) and of as many shifted non-matches."""
     va = hashed_vectors(p.a, width)
     vb = va if p.dedup else hashed_vectors(p.b, width)
-    x = matches.join(va.select(F.col("rec_id").alias("a_id"), F.col("vector").alias("u")), "a_id").join(vb.select(F.col("rec_id").alias("b_id"), F.col("vector").alias("v")), "b_id").orderBy("a_id", "b_id").limit(10_000).toPandas()
+    some = matches.select("a_id", "b_id").orderBy(F.xxhash64("a_id", "b_id"), "a_id", "b_id").limit(fit_rows)
+    x = some.join(va.select(F.col("rec_id").alias("a_id"), F.col("vector").alias("u")), "a_id").join(vb.select(F.col("rec_id").alias("b_id"), F.col("vector").alias("v")), "b_id").orderBy("a_id", "b_id").toPandas()
     if not len(x):
-        return dense_self(p, k, width)
+        return encode_self(p, width)
     norm = lambda m: m / np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-300)
     u, v = norm(np.stack(x["u"])), norm(np.stack(x["v"]))
     feats = np.concatenate([u * v, u * np.roll(v, 1, axis=0)]) * width
@@ -167,8 +168,42 @@ def dense_matched(p: Prepared, matches: DataFrame, k: int, width: int = 256, rou
         w -= 0.1 * (feats.T @ (z - y) / len(y) + 1e-3 * w)
         bias -= 0.1 * float((z - y).mean())
     scale = np.diag(np.sqrt(np.maximum(w, 1e-6)))
-    out = dense_top_k(_project(va, scale), None if p.dedup else _project(vb, scale), k)
-    return unordered(out) if p.dedup else out
+    return _project(va, scale), None if p.dedup else _project(vb, scale)
+
+
+def _neighbours(vectors: tuple[DataFrame, DataFrame | None], k: int) -> DataFrame:
+    out = dense_top_k(*vectors, k)
+    return unordered(out) if vectors[1] is None else out
+
+
+def dense_self(p: Prepared, k: int, width: int = 256, dims: int = 64, fit_rows: int = 5000) -> DataFrame:
+    """Cosine neighbours under :func:`encode_self`."""
+    return _neighbours(encode_self(p, width, dims, fit_rows), k)
+
+
+def dense_matched(p: Prepared, matches: DataFrame, k: int, width: int = 256, rounds: int = 200) -> DataFrame:
+    """Cosine neighbours under :func:`encode_matched`."""
+    return _neighbours(encode_matched(p, matches, width, rounds), k)
+
+
+def dense_tuned(vectors: tuple[DataFrame, DataFrame | None], matches: DataFrame, target: float) -> tuple[DataFrame, int]:
+    """(pairs, k): neighbours with the k that a recall of the matches asks for, vectors made once.
+
+    Probes of the matches alone are searched with a doubling k until enough matches are among their partners.
+    """
+    a, b = (None if v is None else cut(v, "vectors") for v in vectors)
+    index = a if b is None else b
+    probes, size = a.join(matches.select(F.col("a_id").alias("rec_id")).distinct(), "rec_id", "left_semi"), index.count()
+    order = Window.partitionBy("a_id").orderBy(F.round("sim", 9).desc(), "b_id")
+    k = 1
+    while True:
+        near = dense_top_k(probes, index, k + (b is None)).where("true" if b is not None else "a_id <> b_id").withColumn("n", F.row_number().over(order))
+        ranks = matches.select("a_id", "b_id").distinct().join(near, ["a_id", "b_id"], "left").select(F.col("n").cast("double")).toPandas()["n"].fillna(np.inf).to_numpy()
+        if k >= size or tune_k(ranks, target) is not None:
+            break
+        k *= 2
+    best = tune_k_validated(ranks, target)[0] or k
+    return _neighbours((a, b), best), best
 
 
 def threshold_join(scored: DataFrame, tau: float, dedup: bool) -> DataFrame:
@@ -186,21 +221,25 @@ def confident_recall(values: list[float], confidence: float = 0.95) -> float:
     return float(x.mean() - z * x.std(ddof=1) / math.sqrt(len(x))) if len(x) > 1 else float(x.mean())
 
 
+def validated_margin(n: int, margins, target: float, found, seed: int = 1):
+    """The least margin whose recall on left-out matches is confidently the target (else the last).
+
+    ``found(train, test, margin)`` gives the recall on the test rows of what was tuned on the training rows, three folds.
+    """
+    folds = np.random.default_rng(seed).permutation(n) % 3
+    for margin in margins:
+        if confident_recall([found(folds != f, folds == f, margin) for f in range(3)]) >= target:
+            break
+    return margin
+
+
 def tune_threshold(sims: np.ndarray, target: float, seed: int = 1) -> tuple[float, float]:
     """(tau, margin): the quantile of match similarities, lowered until left-out recall is confident."""
     if len(sims) < 3:
         return 0.0, 1.0
-    folds = np.random.default_rng(seed).permutation(len(sims)) % 3
-    margin = 0.0
-    while margin < 1:
-        seen = []
-        for f in range(3):
-            tau = float(np.quantile(sims[folds != f], 1 - target, method="lower")) * (1 - margin)
-            seen.append(float((sims[folds == f] >= tau - 1e-9).mean()))
-        if confident_recall(seen) >= target:
-            break
-        margin = margin * 2 if margin else 0.01
-    return float(np.quantile(sims, 1 - target, method="lower")) * max(0.0, 1 - margin), min(margin, 1.0)
+    quantile = lambda x, d: float(np.quantile(x, 1 - target, method="lower")) * (1 - d)
+    margin = validated_margin(len(sims), MARGINS, target, lambda train, test, d: float((sims[test] >= quantile(sims[train], d) - 1e-9).mean()), seed)
+    return quantile(sims, margin), margin
 
 
 def tune_k(ranks: np.ndarray, target: float) -> int | None:
@@ -210,10 +249,60 @@ def tune_k(ranks: np.ndarray, target: float) -> int | None:
     return int(good[need - 1]) if 0 < need <= len(good) else None
 
 
+def tune_k_validated(ranks: np.ndarray, target: float, seed: int = 1) -> tuple[int | None, int]:
+    """(k, margin): the least k of the target's recall plus a margin of 0, 1, 2, 4, ... that left-out recall asks for.
+
+    ``ranks`` has each match's rank among its probe's partners, infinite where the two share nothing.
+    """
+    if len(ranks) < 3:
+        return tune_k(ranks, target), 0
+    most = ranks[np.isfinite(ranks)].max(initial=1)
+
+    def found(train, test, d):
+        k = tune_k(ranks[train], target)
+        return float((ranks[test] <= (np.inf if k is None else k + d)).mean()) if k is not None else 0.0
+
+    margin = validated_margin(len(ranks), [0, *(1 << i for i in range(int(most).bit_length()))], target, found, seed)
+    k = tune_k(ranks, target)
+    return (None if k is None else k + margin), margin
+
+
+def tuned_bands(sims: np.ndarray, target: float, permutations: int = 128) -> tuple[float, tuple[int, int]]:
+    """(tau, bands and rows) of minhash for a recall of the matches, whose Jaccard similarities are given."""
+    tau, _ = tune_threshold(sims, target)
+    return tau, choose_bands(tau, permutations, target)
+
+
+def tuned_threshold_join(a: DataFrame, b: DataFrame | None, matches: DataFrame, target: float, space: list, sample: int = 1000) -> tuple:
+    """(pairs estimated, model, measure, tau, sets) of the combination that returns fewest pairs.
+
+    Each combination's threshold is tuned by itself; pairs are estimated from ``sample`` probes.
+    """
+    from ..estimate import by_sampling, recall_conditions
+    from ..weights import prepare
+
+    best, shared = None, {}
+    for model, measure in space:
+        p = prepare(a, b, model, measure, shared)
+        sims = recall_conditions(p, matches).select("tau_max").toPandas()["tau_max"].fillna(0).to_numpy()
+        tau, _ = tune_threshold(sims, target)
+        pairs = by_sampling(p, tau, 0.0, None, sample)
+        if best is None or pairs < best[0]:
+            best = (pairs, model, measure, tau, p)
+    return best
+
+
+def recall_curve(theta: DataFrame, column: str, grid: list) -> list[tuple[float, float]]:
+    """(parameter, recall) at each grid value from recall conditions; ``column`` is tau_max or k_min."""
+    meets = (lambda g: F.col(column) <= g) if column == "k_min" else (lambda g: F.round(column, 9) >= round(g, 9))
+    row = theta.agg(F.count("*"), *[F.count_if(F.coalesce(meets(g), F.lit(False))) for g in grid]).first()
+    return [(float(g), row[i + 1] / max(1, row[0])) for i, g in enumerate(grid)]
+
+
 def global_default(curves: dict[str, list[tuple[float, float]]], target: float) -> float | None:
     """The most aggressive parameter that reaches the target on every workload.
 
     ``curves`` has (parameter, recall) by workload, parameters from the most aggressive on.
     """
     grid = [x for x, _ in next(iter(curves.values()))]
-    return next((g for g in grid if all(dict(c)[g] >= target for c in curves.values())), None)
+    return next((g for g in grid if all(dict(c)[g] >= target - 1e-12 for c in curves.values())), None)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from . import experiments  # noqa: F401  (adds its queries to those of the methods)
 from .operators import relational
 from .queries import ORACLE_SQL as _methods_sql
 from .queries import QUERIES as _methods

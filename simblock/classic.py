@@ -106,6 +106,27 @@ def filter_counts(p: Prepared, tau: float, sets: dict = ABLATION) -> DataFrame:
     return out
 
 
+def counts_at_kth(p: Prepared, k: int, low: float, sets: dict = ABLATION) -> DataFrame:
+    """``(filters, entries, pairs)`` of a nearest-k join whose probes have reached their last threshold.
+
+    That is the similarity of the k-th best partner, and at least ``low``. Counted are the list
+    entries that each set of filters leaves and the different pairs among them.
+    """
+    from pyspark.sql import Window
+
+    from .plans.stages import cut
+
+    order = Window.partitionBy("a_id").orderBy(F.desc("sim"))
+    kth = scored_pairs(p).withColumn("_n", F.row_number().over(order)).where(F.col("_n") == k).select(F.col("a_id").alias("rec_id"), F.col("sim").alias("_kth"))
+    probe = p.a.join(cut(kth, "kth"), "rec_id", "left").withColumn("t", F.greatest(F.coalesce("_kth", F.lit(0.0)), F.lit(float(low)))).drop("_kth")
+    out = None
+    for name, filters in sets.items():
+        met = pre_candidates(probe, p.b, MEASURES[p.measure], frozenset(filters), p.dedup, low).groupBy("rec_id", "b_id").agg(F.count("*").alias("n"))
+        row = met.agg(F.lit(name).alias("filters"), F.coalesce(F.sum("n"), F.lit(0)).alias("entries"), F.count("*").alias("pairs"))
+        out = row if out is None else out.unionAll(row)
+    return out
+
+
 def partitioned_counts(p: Prepared, tau: float) -> DataFrame:
     """Entries left by the suffix bounds with the exact prefix, the list's and the half-list's least one."""
     from pyspark.sql import Window

@@ -39,3 +39,14 @@ def tradeoff(scored: DataFrame, truth: DataFrame, by: str, grid: list[float], n_
     row = flagged.agg(*[f.alias(f"{n}{i}") for i, g in enumerate(grid) for n, f in (("p", F.count_if(test(g))), ("h", F.count_if(test(g) & F.col("hit").isNotNull())))])
     points = F.array(*[F.struct(F.lit(float(g)).alias("threshold"), F.col(f"p{i}").alias("pairs"), (F.col(f"p{i}") / F.lit(float(min(n_a, n_b)))).alias("k_eff"), (F.col(f"h{i}") / F.lit(float(total))).alias("recall")) for i, g in enumerate(grid)])
     return row.select(F.explode(points).alias("x")).select("x.*")
+
+
+def best_by_cost(front: DataFrame, costs: list[float]) -> DataFrame:
+    """``(c_k, threshold, k_eff, recall)``: for each cost of a pair a record, the point of most recall less cost.
+
+    Of equal points the one with fewer pairs, then the lesser threshold, is taken.
+    """
+    points = front.withColumn("c_k", F.explode(F.array(*[F.lit(float(c)) for c in costs])))
+    value = F.round(F.col("recall") - F.col("c_k") * F.col("k_eff"), 9)
+    best = points.groupBy("c_k").agg(F.max_by(F.struct("threshold", "k_eff", "recall"), F.struct(value, -F.col("k_eff"), -F.col("threshold"))).alias("x"))
+    return best.select("c_k", "x.*")

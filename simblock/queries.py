@@ -433,7 +433,9 @@ query("positional_prefix_binary_cosine", S.hybrid(S.ITEMS, S.DOCS, "word", "bina
     lambda spark, sf: out(classic.generalised_prefix_join(prepared(spark, sf, weighting="binary", measure="cosine"), 0.2)))
 
 
-@query("band_choice")
+@query("band_choice", """WITH t AS (SELECT unnest([0.04, 0.08, 0.2, 0.5, 0.8])::DOUBLE AS tau), r AS (SELECT unnest(range(1, 129)) AS n), x AS (SELECT (unnest(range(0, 1000)) + 0.5::DOUBLE) / 1000 AS s),
+ h AS (SELECT tau, n, s, 1 - pow(1 - pow(s, n), 128 // n) AS hit FROM t, r, x), c AS (SELECT tau, n, sum(CASE WHEN s < tau THEN hit ELSE 1 - hit END) AS wrong FROM h GROUP BY tau, n)
+ SELECT tau, (128 // arg_min(n, (round(wrong, 9), n)))::INT AS bands, arg_min(n, (round(wrong, 9), n))::INT AS "rows" FROM c GROUP BY tau""")
 def band_choice(spark, sf):
     return spark.createDataFrame([(t, *baselines.choose_bands(t)) for t in (0.04, 0.08, 0.2, 0.5, 0.8)], "tau double, bands int, rows int")
 
@@ -468,7 +470,7 @@ def tuned_threshold(spark, sf):
 def tuned_nearest_k(spark, sf):
     w, p = W.items_in_docs(spark, sf), prepared(spark, sf, measure="cosine")
     th = estimate.recall_conditions(p, W.split_matches(w.truth)[0]).toPandas()
-    k = baselines.tune_k(th["k_min"].astype(float).to_numpy(dtype=float, na_value=np.inf), 0.9) or 10
+    k = baselines.tune_k_validated(th["k_min"].astype(float).fillna(np.inf).to_numpy(dtype=float), 0.9)[0] or 10
     return out(hybrid_join(p, k=k))
 
 
@@ -561,7 +563,20 @@ def approximate_and_exact(spark, sf):
     return parts
 
 
-@query("failure_modes")
+def _modes_sql() -> str:
+    rows = []
+    for name, c in MODES.items():
+        met = S.conditions("sims", *c)
+        rows.append(f"SELECT '{name}' AS join, count(*) FILTER (WHERE (a_id, b_id) IN ((1, 0), (2, 0), (3, 0))) AS found, count(*) AS pairs FROM ({met})")
+    values = ", ".join(f"({a}, {b}, {x}::DOUBLE)" for a, sims in PLANTED.items() for b, x in enumerate(sims))
+    return f"WITH sims AS (SELECT * FROM (VALUES {values}) AS t(a_id, b_id, sim)) " + " UNION ALL ".join(rows)
+
+
+PLANTED = {1: [0.75, 0.7, 0.69, 0.68, 0.67, 0.66], 2: [0.3, 0.1, 0.05], 3: [0.99, 0.62, 0.61, 0.6, 0.6, 0.6], 4: [0.1, 0.09, 0.08, 0.08]}
+MODES = {"threshold": (0.3, 0.0, None), "relative": (0.0, 0.95, None), "nearest-k": (0.0, 0.0, 2), "hybrid": (0.25, 0.8, 2)}
+
+
+@query("failure_modes", _modes_sql())
 def failure_modes(spark, sf):
     """One-condition joins and the hybrid condition on planted similarities: matches found and pairs needed.
 
@@ -569,11 +584,10 @@ def failure_modes(spark, sf):
     """
     from .join import conditions
 
-    sims = {1: [0.75, 0.7, 0.69, 0.68, 0.67, 0.66], 2: [0.3, 0.1, 0.05], 3: [0.99, 0.62, 0.61, 0.6, 0.6, 0.6], 4: [0.1, 0.09, 0.08, 0.08]}
-    pairs = spark.createDataFrame([(a, b, s) for a, x in sims.items() for b, s in enumerate(x)], "a_id long, b_id long, sim double")
+    pairs = spark.createDataFrame([(a, b, s) for a, x in PLANTED.items() for b, s in enumerate(x)], "a_id long, b_id long, sim double")
     truth = [(1, 0), (2, 0), (3, 0)]
     rows = None
-    for name, c in (("threshold", (0.3, 0.0, None)), ("relative", (0.0, 0.95, None)), ("nearest-k", (0.0, 0.0, 2)), ("hybrid", (0.25, 0.8, 2))):
+    for name, c in MODES.items():
         hit = F.count_if(F.struct("a_id", "b_id").isin([F.struct(F.lit(a).cast("long").alias("a_id"), F.lit(b).cast("long").alias("b_id")) for a, b in truth]))
         row = conditions(pairs, *c).agg(F.lit(name).alias("join"), hit.alias("found"), F.count("*").alias("pairs"))
         rows = row if rows is None else rows.union(row)

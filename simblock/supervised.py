@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass
 
 import numpy as np
@@ -9,7 +10,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .estimate import MARGINS, SIGMA, Trajectories, recall_conditions, record
+from .estimate import MARGINS, SIGMA, Trajectories, recall_conditions, record, sample_probes
 from .join import JoinConfig, directed_join, unordered
 from .quality import CONFIDENCE, rank_for
 from .tokens import allow_ngrams
@@ -19,7 +20,7 @@ from .weights import Prepared, TokenModel, prepare
 SPACE = [(TokenModel(t, w), m) for w in ("binary", "tfidf") for t in ("trigram", "word") for m in ("jaccard", "cosine", "dice", "overlap")]
 SAMPLE = 500
 RESTARTS, DRAWS = 32, 10
-SECONDS_PER_ENTRY = 1e-7  # until calibrated
+SECONDS_PER_ENTRY = 1e-7  # where nothing was measured
 
 
 @dataclass
@@ -45,6 +46,23 @@ def calibrate(entries: float, seconds: float) -> float:
     return seconds / max(entries, 1.0)
 
 
+def measured_seconds(p: Prepared, t: Trajectories, sample: int = SAMPLE) -> float:
+    """Seconds for each visited entry, from two threshold joins of the sampled probes.
+
+    What both joins take alike, such as starting jobs, falls out of the difference. If the
+    longer walk is not the slower one, entries cost too little to be seen and the default stays.
+    """
+    part = Prepared(sample_probes(p.a, sample), p.b, p.vocabulary, len(t.probes), p.n_b, p.measure, p.dedup, p.weighting)
+    best = t.sims[:, 0] if t.sims.size else np.zeros(1)
+    seen = []
+    for tau in (0.9 * t.top, float(np.quantile(best, 0.1))):
+        start = time.perf_counter()
+        directed_join(part, JoinConfig(tau)).count()
+        seen.append((t.visited(tau, 0.0, None, None, SIGMA[t.measure]) / t.scale, time.perf_counter() - start))
+    (few, fast), (many, slow) = seen
+    return calibrate(many - few, slow - fast) if many > few and slow > fast else SECONDS_PER_ENTRY
+
+
 def evaluate(sides: list[Side], point: tuple[Point, ...], rows: np.ndarray, margin: float, n_min: int, seconds_per_entry: float) -> tuple[float, float, float]:
     """(recall over the chosen matches, pairs for each record, seconds)."""
     hit = np.zeros(len(rows), dtype=bool)
@@ -68,11 +86,15 @@ def optimise(sides: list[Side], rows: np.ndarray, margin: float, objective, n_mi
     """(value, point): random draws, the best of which climbs by steps of growing and shrinking size."""
     rng = np.random.default_rng(seed)
 
+    def stopped(side: Side, x: Point) -> Point:
+        return Point(x.config, x.tau, x.tau_r, x.k, rank_for(q, side.trajectories[x.config], x.tau, x.tau_r, x.k))
+
     def draw() -> tuple[Point, ...]:
         out = []
         for side in sides:
             c = int(rng.integers(len(side.prepared)))
-            out.append(Point(c, float(rng.random() ** 2 * side.trajectories[c].top), float(rng.random()), int(rng.choice([0, 1, 2, 3, 5, 8, 13, 21, 50])), None))
+            x = Point(c, float(rng.random() ** 2 * side.trajectories[c].top), float(rng.random()), int(rng.choice([0, 1, 2, 3, 5, 8, 13, 21, 50])), None)
+            out.append(stopped(side, x) if q < 1 and x.k > 0 and rng.random() < 0.5 else x)
         return tuple(out)
 
     def value(point: tuple[Point, ...]):
@@ -87,7 +109,7 @@ def optimise(sides: list[Side], rows: np.ndarray, margin: float, objective, n_mi
                 options += [Point(x.config, x.tau, min(1.0, max(0.0, x.tau_r + d * s)), x.k, x.rho) for d in (-1, 1)]
             options += [Point(x.config, x.tau, x.tau_r, max(0, x.k + d), x.rho) for d in (-8, -4, -2, -1, 1, 2, 4, 8)]
             if q < 1 and x.k > 0:
-                options.append(Point(x.config, x.tau, x.tau_r, x.k, rank_for(q, sides[i].trajectories[x.config], x.tau, x.tau_r, x.k)))
+                options += [stopped(sides[i], x), Point(x.config, x.tau, x.tau_r, x.k, None)]
             for y in options:
                 yield (*point[:i], y, *point[i + 1 :])
 
@@ -105,7 +127,7 @@ def optimise(sides: list[Side], rows: np.ndarray, margin: float, objective, n_mi
     return best
 
 
-def choose_margin(sides: list[Side], n: int, margins: tuple, objective, n_min: int, seed: int, restarts: int, q: float = 1.0) -> float:
+def choose_margin(sides: list[Side], n: int, margins: tuple, objective, n_min: int, seed: int, restarts: int, q: float = 1.0, seconds_per_entry: float = SECONDS_PER_ENTRY) -> float:
     """The margin whose tuned conditions score best on left-out matches in three folds."""
     if n < 3:
         return max(margins)
@@ -114,16 +136,17 @@ def choose_margin(sides: list[Side], n: int, margins: tuple, objective, n_min: i
     for d in margins:
         values = []
         for f in range(3):
-            _, point = optimise(sides, np.flatnonzero(folds != f), d, objective, n_min, seed + f, max(1, restarts // 8), q=q)
-            values.append(evaluate(sides, point, np.flatnonzero(folds == f), 0.0, n_min, SECONDS_PER_ENTRY))
+            _, point = optimise(sides, np.flatnonzero(folds != f), d, objective, n_min, seed + f, max(1, restarts // 8), seconds_per_entry=seconds_per_entry, q=q)
+            values.append(evaluate(sides, point, np.flatnonzero(folds == f), 0.0, n_min, seconds_per_entry))
         scored.append((objective(*(float(np.mean(x)) for x in zip(*values))), -d))
     return -max(scored)[1]
 
 
-def block(a: DataFrame, b: DataFrame | None, matches: DataFrame, objective, space: list | None = None, sample: int = SAMPLE, margins: tuple = MARGINS, seed: int = 1, restarts: int = RESTARTS, explain: list | None = None, q: float = 1.0) -> DataFrame:
+def block(a: DataFrame, b: DataFrame | None, matches: DataFrame, objective, space: list | None = None, sample: int = SAMPLE, margins: tuple = MARGINS, seed: int = 1, restarts: int = RESTARTS, explain: list | None = None, q: float = 1.0, seconds_per_entry: float | None = None) -> DataFrame:
     """``(a_id, b_id)`` of the tuned joins; ``b=None`` deduplicates (one direction).
 
     With ``q`` below 1 each direction may stop its walk at the least rank that keeps this quality.
+    Seconds for each visited list entry are measured unless given (a given value makes choices repeatable).
     """
     dedup = b is None
     space = space or SPACE
@@ -144,8 +167,10 @@ def block(a: DataFrame, b: DataFrame | None, matches: DataFrame, objective, spac
         sides.append(Side(ps, [record(p, sample) for p in ps], thetas))
     n = len(sides[0].theta[0]) // len(margins)
     n_min = min(forward[0].n_a, forward[0].n_b)
-    margin = choose_margin(sides, n, margins, objective, n_min, seed, restarts, q)
-    _, point = optimise(sides, np.arange(n), margin, objective, n_min, seed, restarts, q=q)
+    if seconds_per_entry is None:
+        seconds_per_entry = measured_seconds(forward[0], sides[0].trajectories[0], sample)
+    margin = choose_margin(sides, n, margins, objective, n_min, seed, restarts, q, seconds_per_entry)
+    _, point = optimise(sides, np.arange(n), margin, objective, n_min, seed, restarts, seconds_per_entry=seconds_per_entry, q=q)
     out = None
     for i, (side, x) in enumerate(zip(sides, point)):
         if explain is not None and x.k:
