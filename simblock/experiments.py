@@ -223,7 +223,8 @@ def results_by_target(spark: SparkSession, w: W.Workload, targets: tuple = TARGE
     return spark.createDataFrame(rows, ROW)
 
 
-query("results_by_target")(lambda spark, sf: results_by_target(spark, W.items_in_docs(spark, sf)))
+query("results_at_90")(lambda spark, sf: results_by_target(spark, W.items_in_docs(spark, sf), TARGETS[:1]))
+query("results_at_98")(lambda spark, sf: results_by_target(spark, W.items_in_docs(spark, sf), TARGETS[1:]))
 
 
 @query("training_sizes")
@@ -302,14 +303,17 @@ def filter_ablation_nearest_k(spark, sf):
     return classic.counts_at_kth(prepared(spark, sf, weighting="binary"), 5, 0.01)
 
 
-@query("filter_ablation_seconds")
-def filter_ablation_seconds(spark, sf):
+def filter_seconds(spark: SparkSession, sf: str, measures: tuple = ("jaccard", "cosine")) -> DataFrame:
     """Threshold and nearest-k joins under each set of filters: the same pairs, in which time."""
     rows = []
-    for measure in ("jaccard", "cosine"):
+    for measure in measures:
         p = prepared(spark, sf, weighting="binary", measure=measure)
         for join, options in (("threshold", {"tau": 0.1 if measure == "jaccard" else 0.25}), ("nearest-k", {"k": 5})):
             for name, filters in classic.ABLATION.items():
                 u = measured(spark, lambda: directed_join(p, JoinConfig(**options, filters=frozenset(filters))).count())
                 rows.append((measure, join, name, u.result, u.seconds))
     return spark.createDataFrame(rows, "measure string, join string, filters string, pairs long, seconds double")
+
+
+for _m in ("jaccard", "cosine"):
+    query(f"filter_ablation_seconds_{_m}")(lambda spark, sf, m=_m: filter_seconds(spark, sf, (m,)))

@@ -193,3 +193,105 @@ def test_partial_similarity_equals_brute_force(spark):
             for r in got:
                 s = want[r["a_id"], r["b_id"]]
                 assert abs(r["sim"] - (s if round(s, 9) >= tau else 0.0)) < 1e-9
+
+
+def test_k_margin_and_margins_are_the_least_that_hold():
+    from simblock.baselines import tune_k_validated, tune_threshold
+
+    assert tune_k_validated(np.ones(30), 0.9) == (1, 0)
+    assert tune_k_validated(np.array([1.0, 2.0]), 0.5) == (1, 0)
+    assert tune_k_validated(np.full(9, np.inf), 0.9)[0] is None
+    spread = np.arange(1, 61, dtype=float)
+    k, d = tune_k_validated(spread, 0.9)
+    assert d > 0 and k == 54 + d
+    assert tune_threshold(np.full(30, 0.5), 0.9) == (0.5, 0.0)
+
+
+def test_supervised_evaluation_against_counting():
+    """One side, one configuration: recall from conditions, pairs from the trajectories, no seconds at cost 0.
+
+    Pairs are an upper bound by whole bins: at 0.99 of 0.505 the bin from 0.49 on counts, with 0.495 in it.
+    """
+    import pandas as pd
+
+    from simblock.estimate import Trajectories
+    from simblock.supervised import Point, Side, evaluate
+
+    sims = np.array([[0.905, 0.305, 0.0], [0.505, 0.495, 0.105]])
+    cells = np.zeros((2, 1, 100))
+    for i, row in enumerate(sims):
+        for s in row[row > 0]:
+            cells[i, 0, int(s * 100)] += 1
+    counts = np.cumsum(cells[:, :, ::-1], axis=2)[:, :, ::-1]
+    t = Trajectories([1, 2], 1.0, 1.0, np.array([5]), counts, counts * 0, sims, [(np.zeros(1), np.ones(1), 5.0)] * 2, np.ones(2), "jaccard")
+    theta = pd.DataFrame({"a_id": [1, 2, 2], "b_id": [7, 8, 9], "d": 0.0, "tau_max": [0.905, 0.495, np.nan], "tau_r_max": [1.0, 0.98, np.nan], "k_min": [1, 2, np.nan], "rank_min": [1, 4, np.nan]})
+    side = Side([None], [t], [theta])
+    for point, want in (((0.3, 0.0, 5, None), (2 / 3, 4)), ((0.3, 0.0, 1, None), (1 / 3, 2)), ((0.3, 0.99, 5, None), (1 / 3, 3)), ((0.3, 0.0, 5, 3), (1 / 3, None)), ((0.0, 0.0, 0, None), (0.0, 0))):
+        recall, k_eff, seconds = evaluate([side], (Point(0, *point),), np.arange(3), 0.0, 2, 0.0)
+        assert abs(recall - want[0]) < 1e-12 and seconds == 0
+        assert want[1] is None or k_eff == want[1] / 2
+
+
+def test_supervised_blocker_tunes_a_finite_rank_and_measures_seconds(spark, sf):
+    from simblock import objectives, supervised
+    from simblock import workloads as W
+    from simblock.queries import TUNED
+
+    w, told = W.items_in_docs(spark, sf), []
+    # an objective that only seconds decide once a match is found asks for the shortest walk
+    objective = lambda recall, k_eff, seconds: (recall > 0, -seconds)
+    pairs = supervised.block(w.a, w.b, w.truth, objective, space=TUNED[3:], restarts=2, margins=(0.0,), q=0.5, seconds_per_entry=1e-3, explain=told).collect()
+    assert pairs and all(c.rho is None or c.rho >= 1 for c in told)
+    assert any(c.rho is not None for c in told)
+    p = objectives.linear(0.1)
+    assert p(0.9, 2.0, 0.0) == 0.9 - 0.2
+
+
+def test_usage_sees_stage_memory_and_mean_seconds(spark):
+    from simblock.plans.usage import measured
+
+    u = measured(spark, lambda: spark.range(200_000).groupBy((F.col("id") % 50_000).alias("g")).count().orderBy("count", "g").count(), runs=2)
+    assert u.result == 50_000 and u.runs == 2 and u.seconds > 0 and u.peak_bytes > 0
+
+
+def test_dense_tuned_finds_the_least_k(spark):
+    from simblock.baselines import dense_tuned
+
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(40, 6))
+    y = x + rng.normal(size=x.shape) * 0.01
+    frame = lambda m: spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(m)], "rec_id long, vector array<double>")
+    matches = spark.createDataFrame([(i, i) for i in range(40)], "a_id long, b_id long")
+    pairs, k = dense_tuned((frame(x), frame(y)), matches, 0.9)
+    assert k == 1 and {(r.a_id, r.b_id) for r in pairs.collect()} == {(i, i) for i in range(40)}
+    shifted = spark.createDataFrame([(2 * i, 2 * i + 1) for i in range(20)], "a_id long, b_id long")
+    both = np.empty((40, 6))
+    both[0::2], both[1::2] = x[:20], y[:20]
+    pairs, k = dense_tuned((frame(both), None), shifted, 0.9)
+    assert k == 1 and {(2 * i, 2 * i + 1) for i in range(20)} <= {(r.a_id, r.b_id) for r in pairs.collect()}
+
+
+def test_points_by_cost(spark):
+    from simblock.metrics import best_by_cost
+
+    front = spark.createDataFrame([(1.0, 1.0, 0.5), (2.0, 2.0, 0.8), (5.0, 5.0, 0.9), (9.0, 5.0, 0.9)], "threshold double, k_eff double, recall double")
+    got = {r.c_k: r.threshold for r in best_by_cost(front, [0.0, 0.1, 1.0]).collect()}
+    assert got == {0.0: 5.0, 0.1: 2.0, 1.0: 1.0}
+
+
+def test_every_option_of_the_join_on_ties_and_swapped_sides(spark):
+    """Relative threshold 1, ties at k, k of 0, and both directions, against all pairs."""
+    from simblock.classic import naive_hybrid
+    from simblock.join import hybrid_join
+    from simblock.weights import TokenModel, prepare
+
+    texts = ["red blue"] * 4 + ["red blue green", "green", "", None, "blue sky red"]
+    a = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "rec_id long, text string")
+    b = spark.createDataFrame([(100 + i, t) for i, t in enumerate(texts[::-1] + ["sky", "red"])], "rec_id long, text string")
+    p = prepare(a, b, TokenModel("word", "binary"), "jaccard")
+    for side, options in ((p, {"tau_r": 1.0}), (p, {"tau": 0.5, "tau_r": 0.9, "k": 3}), (p.flipped(), {"tau": 1.0}), (p.flipped(), {"k": 2})):
+        got, want = ({(r.a_id, r.b_id): round(r.sim, 6) for r in f(side, **options).collect()} for f in (hybrid_join, naive_hybrid))
+        assert got == want and got
+    assert hybrid_join(p, k=0).count() == 0
+    best = sorted((r.a_id, r.b_id) for r in hybrid_join(p, tau=0.9, k=2).where("a_id = 0").collect())
+    assert best == [(0, 105), (0, 106)]  # four partners tie at similarity 1
