@@ -295,3 +295,39 @@ def test_every_option_of_the_join_on_ties_and_swapped_sides(spark):
     assert hybrid_join(p, k=0).count() == 0
     best = sorted((r.a_id, r.b_id) for r in hybrid_join(p, tau=0.9, k=2).where("a_id = 0").collect())
     assert best == [(0, 105), (0, 106)]  # four partners tie at similarity 1
+
+
+def test_lone_tokens_have_keys_of_their_own_in_order(spark, monkeypatch):
+    """Both ways of coding give the same weights, order and sums, and a key stands for one token on both sides."""
+    from simblock import weights
+
+    a = spark.createDataFrame([(1, "red zebra apple blue"), (2, "red kiwi éclair zoo"), (3, None)], "rec_id long, text string").repartition(2)
+    b = spark.createDataFrame([(1, "blue sky moon"), (2, "owl")], "rec_id long, text string")
+    found = []
+    for most in (weights.VOCABULARY, 0):
+        monkeypatch.setattr(weights, "VOCABULARY", most)
+        p = weights.prepare(a, b, weights.TokenModel(), "jaccard")
+        assert p.vocabulary.count() == p.vocabulary.select("key").distinct().count() == p.vocabulary.select("token").distinct().count() == 10
+        found.append([sorted((r.rec_id, r.token, r.pos, round(r.w, 9), round(r.pre, 9), round(r.suf, 9), r.df) for r in x.join(p.vocabulary, "key").collect()) for x in (p.a, p.b)])
+        assert len(found[-1][0]) == 8 and len(found[-1][1]) == 4
+    assert found[0] == found[1]
+
+
+def test_small_side_and_blocks_give_the_same_pairs(spark, sf, monkeypatch):
+    """A side sent to every task, blocks of few tokens and chunks of few pairs lose and add nothing."""
+    from simblock import join, verification
+    from simblock import workloads as W
+    from simblock.classic import naive_hybrid
+    from simblock.queries import prepared
+
+    p = prepared(spark, sf, W.items, W.docs, measure="dice")
+    pairs = lambda df: {(r.a_id, r.b_id): round(r.sim, 6) for r in df.collect()}
+    want, wide = pairs(naive_hybrid(p, 0.02, 0.5, 4)), pairs(verification.partial_pairs(p, 0.1))
+    monkeypatch.setattr(join, "CHUNK", 5_000)
+    assert join.smaller(p) == "a" and pairs(join.hybrid_join(p, 0.02, 0.5, 4)) == want
+    turned = p.flipped()
+    assert pairs(join.hybrid_join(turned, 0.02, 0.5, 4)) == pairs(naive_hybrid(turned, 0.02, 0.5, 4))
+    monkeypatch.setattr(join, "SMALL", 0)
+    monkeypatch.setattr(join, "BLOCK", 9_000)
+    assert join.smaller(p) is None and pairs(join.hybrid_join(p, 0.02, 0.5, 4)) == want
+    assert pairs(verification.partial_pairs(p, 0.1)) == wide and wide
