@@ -331,3 +331,15 @@ def test_small_side_and_blocks_give_the_same_pairs(spark, sf, monkeypatch):
     monkeypatch.setattr(join, "BLOCK", 9_000)
     assert join.smaller(p) is None and pairs(join.hybrid_join(p, 0.02, 0.5, 4)) == want
     assert pairs(verification.partial_pairs(p, 0.1)) == wide and wide
+
+
+def test_queries_of_fixed_values_read_given_tables(spark, sf):
+    """Spark scans a given table for each of them, and two empty sets have no Jaccard similarity."""
+    from simblock import functions
+    from simblock.catalog import QUERIES
+
+    for name, table in (("band_choice", "lineitem"), ("cosine_prefix_growth", "documents"), ("op_registered_functions", "documents")):
+        df = QUERIES[name](spark, sf)
+        assert any(f.endswith(f"/{table}.parquet") for f in df.inputFiles()) and df.count() > 1, name
+    functions.register(spark)
+    assert spark.sql("SELECT set_jaccard(token_words(''), token_words('-')) AS j").first().j is None
