@@ -319,11 +319,14 @@ def test_small_side_and_blocks_give_the_same_pairs(spark, sf, monkeypatch):
     from simblock import workloads as W
     from simblock.classic import naive_hybrid
     from simblock.queries import prepared
+    from simblock.weights import Prepared
 
     p = prepared(spark, sf, W.items, W.docs, measure="dice")
     pairs = lambda df: {(r.a_id, r.b_id): round(r.sim, 6) for r in df.collect()}
     want, wide = pairs(naive_hybrid(p, 0.02, 0.5, 4)), pairs(verification.partial_pairs(p, 0.1))
     monkeypatch.setattr(join, "CHUNK", 5_000)
+    part = Prepared(p.a.where("rec_id % 2 = 0"), p.b, p.vocabulary, p.n_a, p.n_b, p.measure, False)
+    assert join.smaller(part) is None and pairs(join.hybrid_join(part, 0.02, 0.5, 4)) == {k: s for k, s in want.items() if k[0] % 2 == 0}
     assert join.smaller(p) == "a" and pairs(join.hybrid_join(p, 0.02, 0.5, 4)) == want
     turned = p.flipped()
     assert pairs(join.hybrid_join(turned, 0.02, 0.5, 4)) == pairs(naive_hybrid(turned, 0.02, 0.5, 4))
