@@ -346,3 +346,25 @@ def test_queries_of_fixed_values_read_given_tables(spark, sf):
         assert any(f.endswith(f"/{table}.parquet") for f in df.inputFiles()) and df.count() > 1, name
     functions.register(spark)
     assert spark.sql("SELECT set_jaccard(token_words(''), token_words('-')) AS j").first().j is None
+
+
+def test_ngrams_of_both_forms_and_streams_agree(spark, tmp_path, monkeypatch):
+    """n-grams cut in Python are those of the column, and a join with a small side writes no sets of the other."""
+    import os
+
+    from simblock import weights
+    from simblock.join import hybrid_join
+    from simblock.tokens import term_counts
+
+    texts = [None, "", " ", "a", "ABC", "a  b\tC d", "zß😀日本語", "abcabcabc", "x" * 5_000]
+    rows = spark.createDataFrame([(i, t) for i, t in enumerate(texts)] + [(4, "abcd")], "rec_id int, text string")
+    want = sorted(tuple(r) for r in term_counts(rows, "trigram").select("rec_id", "token", "tf").collect())
+    for single, table in ((False, 1 << 25), (False, 0)):
+        monkeypatch.setattr(weights, "TABLE", table)
+        monkeypatch.setattr(weights, "TOKENS", 9)
+        got = weights.unpacked(weights.counted(weights.token_lists(rows, "trigram", single), 3)).select("rec_id", "token", "tf")
+        assert sorted(tuple(r) for r in got.collect()) == want
+    folder = str(tmp_path)
+    monkeypatch.setattr("simblock.plans.stages.shared_dir", lambda s: folder)
+    p = weights.prepare(rows.where("rec_id > 5"), rows, weights.TokenModel("trigram", "tfidf"), "cosine")
+    assert hybrid_join(p, 0.01, 0.5, 3).count() > 3 and not [f for f in os.listdir(folder) if f.startswith(("sets", "terms"))]
