@@ -368,3 +368,28 @@ def test_ngrams_of_both_forms_and_streams_agree(spark, tmp_path, monkeypatch):
     monkeypatch.setattr("simblock.plans.stages.shared_dir", lambda s: folder)
     p = weights.prepare(rows.where("rec_id > 5"), rows, weights.TokenModel("trigram", "tfidf"), "cosine")
     assert hybrid_join(p, 0.01, 0.5, 3).count() > 3 and not [f for f in os.listdir(folder) if f.startswith(("sets", "terms"))]
+
+
+def test_swept_blocks_find_all_pairs_of_large_sides(spark, sf, monkeypatch):
+    """Every measure and set of filters, blocks of few tokens, against all pairs; no candidates are shuffled."""
+    from simblock import classic, join, verification
+    from simblock import workloads as W
+    from simblock.queries import even, odd
+    from simblock.weights import TokenModel, prepare
+
+    monkeypatch.setattr(join, "SMALL", 0)
+    monkeypatch.setattr(join, "BLOCK", 15_000)
+    monkeypatch.setattr(join, "CHUNK", 20_000)
+    pairs = lambda df: {(r.a_id, r.b_id): round(r.sim, 6) for r in df.collect()}
+    docs, sides, shared, one = W.docs(spark, sf), (even(spark, sf), odd(spark, sf)), {}, {}
+    for measure, tau in (("jaccard", 0.3), ("cosine", 0.3), ("dice", 0.35), ("overlap", 300.5)):
+        p, d = prepare(*sides, TokenModel(), measure, shared), prepare(docs, None, TokenModel(), measure, one)
+        want = pairs(classic.naive_hybrid(d, tau))
+        for filters in (None, frozenset({"prefix", "size", "suffix_plain", "positional_exact"})):
+            assert pairs(join.hybrid_join(d, tau, filters=filters)) == want and want
+        assert pairs(verification.partial_join(d, tau)) == want
+        assert pairs(classic.generalised_prefix_join(p, tau)) == pairs(classic.naive_hybrid(p, tau))
+    p = prepare(*sides, TokenModel(), "cosine", shared)
+    found = join.hybrid_join(p, k=5)
+    assert pairs(found) == pairs(classic.naive_hybrid(p, k=5))
+    assert pairs(join.hybrid_join(d.__class__(d.codes, d.n_a, d.n_b, "cosine", True, "tfidf"), 0.1, 0.5, 3)) == pairs(classic.naive_hybrid(d.__class__(d.codes, d.n_a, d.n_b, "cosine", True, "tfidf"), 0.1, 0.5, 3))
