@@ -389,7 +389,20 @@ def test_swept_blocks_find_all_pairs_of_large_sides(spark, sf, monkeypatch):
             assert pairs(join.hybrid_join(d, tau, filters=filters)) == want and want
         assert pairs(verification.partial_join(d, tau)) == want
         assert pairs(classic.generalised_prefix_join(p, tau)) == pairs(classic.naive_hybrid(p, tau))
-    p = prepare(*sides, TokenModel(), "cosine", shared)
-    found = join.hybrid_join(p, k=5)
-    assert pairs(found) == pairs(classic.naive_hybrid(p, k=5))
-    assert pairs(join.hybrid_join(d.__class__(d.codes, d.n_a, d.n_b, "cosine", True, "tfidf"), 0.1, 0.5, 3)) == pairs(classic.naive_hybrid(d.__class__(d.codes, d.n_a, d.n_b, "cosine", True, "tfidf"), 0.1, 0.5, 3))
+
+
+def test_swept_blocks_with_long_lists_as_a_matrix(spark, sf, monkeypatch):
+    """Nearest partners of two sides and of a deduplication, most tokens in the matrix, against all pairs."""
+    from simblock import classic, join, sweep
+    from simblock import workloads as W
+    from simblock.queries import even, odd
+    from simblock.weights import TokenModel, prepare
+
+    monkeypatch.setattr(join, "SMALL", 0)
+    monkeypatch.setattr(join, "BLOCK", 30_000)
+    monkeypatch.setattr(join, "CHUNK", 20_000)
+    monkeypatch.setattr(sweep, "SHARE", 40)
+    pairs = lambda df: {(r.a_id, r.b_id): round(r.sim, 6) for r in df.collect()}
+    p, d = prepare(even(spark, sf), odd(spark, sf), TokenModel(), "cosine"), prepare(W.docs(spark, sf), None, TokenModel(), "cosine")
+    assert pairs(join.hybrid_join(p, k=5)) == pairs(classic.naive_hybrid(p, k=5))
+    assert pairs(join.hybrid_join(d, 0.1, 0.5, 3)) == pairs(classic.naive_hybrid(d, 0.1, 0.5, 3))
