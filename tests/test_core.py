@@ -406,3 +406,14 @@ def test_swept_blocks_with_long_lists_as_a_matrix(spark, sf, monkeypatch):
     p, d = prepare(even(spark, sf), odd(spark, sf), TokenModel(), "cosine"), prepare(W.docs(spark, sf), None, TokenModel(), "cosine")
     assert pairs(join.hybrid_join(p, k=5)) == pairs(classic.naive_hybrid(p, k=5))
     assert pairs(join.hybrid_join(d, 0.1, 0.5, 3)) == pairs(classic.naive_hybrid(d, 0.1, 0.5, 3))
+
+
+def test_norms_are_worked_out_once_a_record(spark):
+    """Unit weights of a long record, whose norm Spark's plan would have put into each weight."""
+    from simblock.weights import TokenModel, prepare
+
+    df = spark.createDataFrame([(1, " ".join(f"w{i}" for i in range(2_000)))], "rec_id long, text string")
+    sets = prepare(df, df, TokenModel(), "cosine").a._packed
+    assert "aggregate(" not in sets._jdf.queryExecution().optimizedPlan().toString().lower()
+    r = sets.first()
+    assert len(r.ws) == 2_000 and abs(sum(w * w for w in r.ws) - 1) < 1e-9 and abs(r.total - 1) < 1e-9
