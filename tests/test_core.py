@@ -417,3 +417,36 @@ def test_norms_are_worked_out_once_a_record(spark):
     assert "aggregate(" not in sets._jdf.queryExecution().optimizedPlan().toString().lower()
     r = sets.first()
     assert len(r.ws) == 2_000 and abs(sum(w * w for w in r.ws) - 1) < 1e-9 and abs(r.total - 1) < 1e-9
+
+
+def test_sweep_of_totals_and_lesser_weights(spark, monkeypatch):
+    """Blocks of like totals hold each record once, whole lists of an overlap leave light records out, and texts are split once."""
+    from simblock import join, sweep, weights
+    from simblock.measures import MEASURES
+
+    rng = np.random.default_rng(3)
+    rows = []
+    for i in range(60):
+        keys = np.sort(rng.choice(40, 1 + i // 2, replace=False))
+        ws = rng.integers(1, 9, len(keys)).astype(float)
+        rows.append((i, keys.tolist(), ws.tolist(), float(ws.sum())))
+    sets = spark.createDataFrame(rows, "rec_id long, keys array<bigint>, ws array<double>, total double")
+    ends = [(low, high, n) for low, high, n, _ in sweep.blocks(sets, 150, True)]
+    assert len(ends) > 3 and all(sum(low <= total <= high for low, high, n in set(ends)) == 1 for *_, total in rows)
+    assert [x[2:] for x in sweep.blocks(sets, 300, False)] == [(4, i) for i in range(4)]
+    monkeypatch.setattr(join, "BLOCK", 600)
+    monkeypatch.setattr(sweep, "COLUMNS", 7)
+    weight = [dict(zip(keys, ws)) for _, keys, ws, _ in rows]
+    for measure, t in (("overlap", 40.5), ("dice", 0.5), ("jaccard", 0.3)):
+        m = MEASURES[measure]
+        for dedup in (False, True):
+            want = {}
+            for a in range(60):
+                for b in range(60):
+                    i = sum(min(w, weight[b].get(k, 0)) for k, w in weight[a].items())
+                    if m.number(i, rows[a][3], rows[b][3]) >= t and (not dedup or a < b):
+                        want[a, b] = round(m.number(i, rows[a][3], rows[b][3]), 9)
+            got = sweep.swept(sets, sets, m, t, frozenset({"prefix", "size", "positional"}), dedup, (t, 0.0, None)).collect()
+            assert len(got) == len(want) and {(min(r.a_id, r.b_id), max(r.a_id, r.b_id)) if dedup else (r.a_id, r.b_id): round(r.sim, 9) for r in got} == want
+    texts = weights.token_lists(spark.createDataFrame([(1, "a b")], "rec_id long, text string"), "word", True)
+    assert weights.frequencies(texts)._jdf.queryExecution().optimizedPlan().toString().count("split(") == 1
