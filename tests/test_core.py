@@ -450,3 +450,18 @@ def test_sweep_of_totals_and_lesser_weights(spark, monkeypatch):
             assert len(got) == len(want) and {(min(r.a_id, r.b_id), max(r.a_id, r.b_id)) if dedup else (r.a_id, r.b_id): round(r.sim, 9) for r in got} == want
     texts = weights.token_lists(spark.createDataFrame([(1, "a b")], "rec_id long, text string"), "word", True)
     assert weights.frequencies(texts)._jdf.queryExecution().optimizedPlan().toString().count("split(") == 1
+
+
+def test_joins_with_filters_send_the_small_side(spark, sf, monkeypatch):
+    """With filters named, too, the small side is the block, and no more than its records go to the tasks at once."""
+    from simblock import classic, join, sweep
+    from simblock import workloads as W
+    from simblock.queries import prepared
+
+    p, met = prepared(spark, sf, weighting="binary", measure="cosine"), []
+    made = sweep.swept
+    monkeypatch.setattr(sweep, "swept", lambda a, b, *more: met.append(b.count()) or made(a, b, *more))
+    pairs = lambda df: {(r.a_id, r.b_id): round(r.sim, 6) for r in df.collect()}
+    for tau, k in ((0.25, None), (0.0, 5)):
+        assert pairs(join.directed_join(p, join.JoinConfig(tau=tau, k=k, filters=frozenset({"prefix", "suffix"})))) == pairs(classic.naive_hybrid(p, tau, k=k))
+    assert met == [W.items(spark, sf).count()]
