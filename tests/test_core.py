@@ -465,3 +465,18 @@ def test_joins_with_filters_send_the_small_side(spark, sf, monkeypatch):
     for tau, k in ((0.25, None), (0.0, 5)):
         assert pairs(join.directed_join(p, join.JoinConfig(tau=tau, k=k, filters=frozenset({"prefix", "suffix"})))) == pairs(classic.naive_hybrid(p, tau, k=k))
     assert met == [W.items(spark, sf).count()]
+
+
+def test_recall_conditions_of_few_probes_write_no_log(spark, sf, monkeypatch):
+    """Counted as pairs pass by, conditions are those of the whole log, for matches that are far from the best, too."""
+    from simblock import estimate, join
+    from simblock.queries import prepared
+
+    p = prepared(spark, sf, weighting="binary")
+    matches = spark.createDataFrame([(a, b) for (a,) in p.a.select("rec_id").distinct().orderBy("rec_id").limit(9).collect() for b in range(0, 200, 23)], "a_id long, b_id long")
+    rows = lambda: sorted(tuple(round(x, 9) if isinstance(x, float) else x for x in r) for r in estimate.recall_conditions(p, matches, (0.0, 0.1, 0.5)).select("a_id", "b_id", "d", "tau_max", "tau_r_max", "k_min", "rank_min").fillna(-1).collect())
+    with monkeypatch.context() as patch:
+        patch.setattr(join, "smaller", lambda p: None)
+        want = rows()
+    monkeypatch.setattr(estimate, "candidate_log", None)
+    assert rows() == want and len({x[5] for x in want}) > 20
