@@ -480,3 +480,16 @@ def test_recall_conditions_of_few_probes_write_no_log(spark, sf, monkeypatch):
         want = rows()
     monkeypatch.setattr(estimate, "candidate_log", None)
     assert rows() == want and len({x[5] for x in want}) > 20
+
+
+def test_small_probes_walk_their_own_lists_only(spark, sf, monkeypatch):
+    """Lists of tokens that no probe has are not built, and joins by rank stay the same."""
+    from simblock import cutoff, join
+    from simblock.queries import prepared
+
+    p = prepared(spark, sf, measure="cosine")
+    rows = lambda: sorted((r.a_id, r.b_id, round(r.sim, 9)) for r in cutoff.rank_cut_pairs(p, 150).collect())
+    got, lists = rows(), cutoff.met_lists(p, p.a).select("key").distinct()
+    assert lists.join(p.a.select("key").distinct(), "key", "left_anti").count() == 0 and lists.count() > 50
+    monkeypatch.setattr(join, "smaller", lambda p: None)
+    assert got and rows() == got
