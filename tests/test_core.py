@@ -493,3 +493,15 @@ def test_small_probes_walk_their_own_lists_only(spark, sf, monkeypatch):
     assert lists.join(p.a.select("key").distinct(), "key", "left_anti").count() == 0 and lists.count() > 50
     monkeypatch.setattr(join, "smaller", lambda p: None)
     assert got and rows() == got
+
+
+def test_hashed_vectors_are_made_once(spark, sf):
+    """The fit and the vectors of all records come from the same written ones."""
+    from simblock import baselines
+    from simblock import workloads as W
+    from simblock.queries import prepared
+
+    p = prepared(spark, sf, measure="cosine")
+    u, v = baselines.encode_matched(p, W.items_in_docs(spark, sf).truth)
+    assert all(x.inputFiles() and all("/vectors-" in f for f in x.inputFiles()) for x in (u, v))
+    assert v.count() == p.b.select("rec_id").distinct().count()
