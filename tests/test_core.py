@@ -505,3 +505,16 @@ def test_hashed_vectors_are_made_once(spark, sf):
     u, v = baselines.encode_matched(p, W.items_in_docs(spark, sf).truth)
     assert all(x.inputFiles() and all("/vectors-" in f for f in x.inputFiles()) for x in (u, v))
     assert v.count() == p.b.select("rec_id").distinct().count()
+
+
+def test_broadcast_join_is_one_whatever_the_sizes(spark, sf):
+    """Without automatic broadcasts, too, the small side is sent."""
+    from simblock.operators.relational import QUERIES
+
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        found = QUERIES["op_broadcast_join"](spark, sf)
+        assert "BroadcastHashJoin" in found._jdf.queryExecution().executedPlan().toString()
+        assert found.columns == ["n_name", "r_name"] and found.count() == 25
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
