@@ -518,3 +518,34 @@ def test_broadcast_join_is_one_whatever_the_sizes(spark, sf):
         assert found.columns == ["n_name", "r_name"] and found.count() == 25
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_match_training_fits_all_matches(spark, sf, monkeypatch):
+    """More matches than were once fitted: the weights are those of all, on the driver and summed by the tasks; without matches all vectors are fitted."""
+    import numpy as np
+
+    from simblock import baselines
+    from simblock.queries import W, prepared
+
+    p = prepared(spark, sf, W.docs, None, measure="cosine")
+    vectors = {r.rec_id: np.array(r.vector) for r in baselines.hashed_vectors(p.a).collect()}
+    ids = sorted(vectors)
+    pairs = [(a, b) for a in ids for b in ids if a < b]
+    assert len(pairs) > 10_000
+    unit = lambda x: x / np.linalg.norm(x, axis=1, keepdims=True)
+    u, v = (unit(np.array([vectors[x[i]] for x in pairs])) for i in (0, 1))
+    feats, y = np.concatenate([u * v, u * np.roll(v, 1, axis=0)]) * 256, np.repeat([1.0, 0.0], len(pairs))
+    w, bias = np.ones(256) / 256, 0.0
+    for _ in range(4):
+        z = 1 / (1 + np.exp(-np.clip(feats @ w + bias, -30, 30)))
+        w, bias = w - 0.1 * (feats.T @ (z - y) / len(y) + 1e-3 * w), bias - 0.1 * float((z - y).mean())
+    want = {x: vectors[x] * np.sqrt(np.maximum(w, 1e-6)) for x in ids}
+    matches = spark.createDataFrame(pairs, "a_id long, b_id long")
+    for held in (1 << 20, 100):
+        monkeypatch.setattr(baselines, "HELD", held, raising=False)
+        got = {r.rec_id: np.array(r.vector) for r in baselines.encode_matched(p, matches, rounds=4)[0].collect()}
+        assert got.keys() == want.keys() and all(np.allclose(got[x], want[x], atol=1e-9) for x in ids)
+    x = np.array([vectors[i] for i in ids])
+    axes = np.linalg.svd(x.T @ x)[2][:64]
+    none = {r.rec_id: np.array(r.vector) for r in baselines.encode_matched(p, matches.where("false"))[0].collect()}
+    assert all(np.isclose(np.linalg.norm(none[i]), np.linalg.norm(axes @ vectors[i])) for i in ids)
