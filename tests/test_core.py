@@ -549,3 +549,20 @@ def test_match_training_fits_all_matches(spark, sf, monkeypatch):
     axes = np.linalg.svd(x.T @ x)[2][:64]
     none = {r.rec_id: np.array(r.vector) for r in baselines.encode_matched(p, matches.where("false"))[0].collect()}
     assert all(np.isclose(np.linalg.norm(none[i]), np.linalg.norm(axes @ vectors[i])) for i in ids)
+
+
+def test_scalability_runs_the_blocker_with_all_configurations(spark, sf, monkeypatch):
+    """The blocker chooses among all models and measures on each share of the documents."""
+    from simblock import experiments, unsupervised
+
+    met = []
+    monkeypatch.setattr(unsupervised, "prepare", lambda a, b, model, measure, shared: (model, measure))
+    monkeypatch.setattr(unsupervised, "balanced", lambda prepared, k, *more: met.append((sorted(prepared, key=str), k)) or (unsupervised.Choice(None, "", 0.0), None))
+    monkeypatch.setattr(unsupervised, "directed_join", lambda *x: spark.createDataFrame([(1, 2, 0.5)], "a_id long, b_id long, sim double"))
+    monkeypatch.setattr(experiments, "FRACTIONS", (0.25,))
+    for name in ("hybrid_join", "prepare"):
+        monkeypatch.setattr(experiments, name, lambda *x, **y: spark.range(1))
+    for name in ("token_blocking", "high_value_blocking", "high_value_blocking_pruned", "minhash"):
+        monkeypatch.setattr(experiments.baselines, name, lambda *x, **y: spark.range(1))
+    rows = experiments.scalability(spark, sf).collect()
+    assert len(rows) == 7 and met == [(sorted(unsupervised.SPACE, key=str), 5)]
