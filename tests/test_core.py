@@ -566,3 +566,38 @@ def test_scalability_runs_the_blocker_with_all_configurations(spark, sf, monkeyp
         monkeypatch.setattr(experiments.baselines, name, lambda *x, **y: spark.range(1))
     rows = experiments.scalability(spark, sf).collect()
     assert len(rows) == 7 and met == [(sorted(unsupervised.SPACE, key=str), 5)]
+
+
+def test_products_of_single_precision_lose_no_neighbour():
+    """Similarities that single precision can't tell apart are ranked by their exact values, whole products are summed for few pairs only."""
+    import numpy as np
+    import pyarrow as pa
+
+    from simblock import join, sweep
+    from simblock.measures import MEASURES
+
+    rng, n, width = np.random.default_rng(5), 200, 12
+    common = rng.random(width) + 1
+    weights = common + 1e-8 * rng.random((n, width))  # of every record and all nearly alike
+    weights /= np.linalg.norm(weights, axis=1, keepdims=True)
+    ends = pa.array(np.arange(n + 1) * width, pa.int32())
+    lists = lambda x, kind: pa.ListArray.from_arrays(ends, pa.array(x.ravel(), kind))
+    side = (pa.array(np.arange(n)), lists(np.tile(np.arange(width), n), pa.int64()), lists(weights, pa.float64()), pa.array(np.ones(n)))
+    x = sweep.Block(side, MEASURES["cosine"], 0.0, False)
+    assert x.single.dtype == np.float32 and len(x.single) == width
+    order = x.ids.to_numpy()
+    sims = weights @ weights.T
+    for dedup in (False, True):
+        found = list(sweep.pairs(x, join.Sets(*side[1:]), side[0], MEASURES["cosine"], 0.0, frozenset(), dedup, False, 3))
+        a, b, s = (np.concatenate([f[i] for f in found]) for i in range(3))
+        got = {(i, int(order[j])): v for i, j, v in zip(a.tolist(), b.tolist(), s.tolist())}
+        assert all(abs(v - sims[i, j]) < 1e-14 for (i, j), v in got.items())
+        for i in range(n):
+            mine = np.where(np.arange(n) == i, -1.0, sims[i]) if dedup else sims[i]
+            assert all((i, j) in got for j in np.flatnonzero(mine >= np.sort(mine)[-3]).tolist())
+    spread = rng.random((n, width)) ** 8 + 1e-3
+    spread /= np.linalg.norm(spread, axis=1, keepdims=True)
+    side = (side[0], side[1], lists(spread, pa.float64()), side[3])
+    x = sweep.Block(side, MEASURES["cosine"], 0.0, False)
+    found = list(sweep.pairs(x, join.Sets(*side[1:]), side[0], MEASURES["cosine"], 0.0, frozenset(), False, False, 3, 0.5))
+    assert n * 3 <= sum(len(f[0]) for f in found) < n * 4
